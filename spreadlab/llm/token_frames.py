@@ -190,7 +190,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = 2, id_
             yield out.take()
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    ordered = rows.repartitionByRange(F.col("id"), F.col("text")).sortWithinPartitions("id", "text")
+    ordered = rows.repartitionByRange(F.col("id")).sortWithinPartitions("id", "text")
     index = materialize(ordered.mapInArrow(write, "part int, path string, nth long, id long, frame int, offset long, n_tokens long"), "token-index")
     files = index.groupBy("part", "path").agg(F.count(F.lit(1)).alias("docs"), F.sum("n_tokens").alias("ids")).withColumn("path", F.concat(F.lit(folder + "/"), "path"))
     return files.select("part", "path", "docs", "ids"), index
