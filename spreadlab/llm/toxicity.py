@@ -30,14 +30,17 @@ from pyspark.sql import functions as F
 from spreadlab.llm.common import RowBuffer, arrow_rows, table
 
 # Look-alike letters and the letters they stand for; digits and signs used as letters.
-HOMOGLYPHS = str.maketrans("аеорсухіјѕһԁӏԛԝɡɑοαεικνρτυхᴀ", "aeopcyxijshdlqwgaoaeiknptuxa")
-DIGITS = str.maketrans("0134578", "oleastb")
-SIGNS = str.maketrans("@$!|", "asil")
+HOMOGLYPHS = str.maketrans("аеорсухіјѕһԁӏԛԝɡɑοαεικνρτυхᴀткм", "aeopcyxijshdlqwgaoaeiknptuxatkm")
+DIGITS = str.maketrans("0134578", "oieastb")
+SIGNS = str.maketrans("@$!|", "asii")
 INVISIBLE = dict.fromkeys([0xAD, 0x200B, 0x200C, 0x200D, 0x2060, 0xFEFF])
 
+LETTERS_LIKE = {**HOMOGLYPHS, **INVISIBLE}
 MIXED_DIGITS = re.compile(r"(?<=[^\W\d_])[0134578]+(?=[^\W\d_])|\b[0134578](?=[^\W\d_]{2})|(?<=[^\W\d_]{2})[0134578]\b")
-INNER_SIGNS = re.compile(r"(?<=[^\W\d_])[@$!|](?=[^\W\d_])")
-OTHER = re.compile(r"[\W_]+")
+INNER_SIGNS = re.compile(r"[@$!|](?<=[^\W\d_].)(?=[^\W\d_])")
+FOREIGN_MARKS = re.compile(r"[^\x00-\x7f\w]+")
+# ASCII: letters in lower case (l as i, for 1 stands for either), digits as they are, all else a space; other bytes stay
+BYTES = bytes(ord("i") if chr(b) in "lL" else b + 32 if 65 <= b <= 90 else b if b > 127 or chr(b).isalnum() else 32 for b in range(256))
 STEM_LENGTHS = range(3, 11)
 
 
@@ -45,12 +48,14 @@ def fold(text: str | None) -> str:
     """Folded text: words between single spaces, with one space at either end."""
     if not text:
         return " "
-    text = text.lower()
     if not text.isascii():
-        text = text.translate(INVISIBLE).translate(HOMOGLYPHS)
-    text = MIXED_DIGITS.sub(lambda m: m[0].translate(DIGITS), text)
-    text = INNER_SIGNS.sub(lambda m: m[0].translate(SIGNS), text)
-    return " " + OTHER.sub(" ", text).strip() + " "
+        text = FOREIGN_MARKS.sub(" ", text.lower().translate(LETTERS_LIKE))
+    if "$" in text or "@" in text or "!" in text or "|" in text:
+        text = INNER_SIGNS.sub(lambda m: m[0].translate(SIGNS), text)
+    words = text.encode("utf-8", "surrogatepass").translate(BYTES).decode("utf-8", "surrogatepass").split()
+    if any(d in text for d in "0134578"):
+        words = [w if w.isalpha() else MIXED_DIGITS.sub(lambda m: m[0].translate(DIGITS), w) for w in words]
+    return f" {' '.join(words)} " if words else " "
 
 
 @dataclass
@@ -90,6 +95,8 @@ class Lexicon:
                 spared.append((start, end))
             elif start not in best or best[start][0] < size:
                 best[start] = (size, entry, w)
+        if not spared:
+            return [(at, entry, w) for at, (_, entry, w) in sorted(best.items())]
         return [(at, entry, w) for at, (size, entry, w) in sorted(best.items()) if not any(a <= at and at + size - 2 <= b for a, b in spared)]
 
     def features(self, text: str | None) -> list[float]:
@@ -163,7 +170,10 @@ def choose_entries(rows: Iterable[tuple[str, int, int, int, int]], words_toxic:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str, max_rows: int, id_col: str, text_col: str) -> DataFrame:
-    """(id, text, label, part) of at most about ``max_rows`` usable labelled rows, by a hash of the id."""
+    """(id, text, label, part) of at most about ``max_rows`` usable labelled rows, by a hash of the id.
+
+    The chosen labels are that few, so they are sent to the documents and no text is shuffled.
+    """
     y = labels.select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("label")).filter("id IS NOT NULL AND label IS NOT NULL").groupBy("id").agg(F.max("label").alias("label"))
     y = y.withColumn("usable", usable).filter("usable")
     n = y.count()
@@ -171,7 +181,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, usable: Column, label_co
     if n > max_rows:
         y = y.filter(draw < max_rows / n)
     part = F.pmod(F.xxhash64("id", F.lit(31)), F.lit(10)).cast("int")
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(y.select("id", "label"), "id").withColumn("part", part)
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(y.select("id", "label")), "id").withColumn("part", part)
 
 
 def fit_lexicon(sample: DataFrame, most_entries: int = 4000, most_candidates: int = 60_000) -> Lexicon:
@@ -271,11 +281,21 @@ def score_toxicity(docs: DataFrame, lexicon: Lexicon, id_col: str = "doc_id", te
     return scored.select(F.col("id").cast(id_type).alias("id"), "toxicity")
 
 
+def drop_toxic(docs: DataFrame, lexicon: Lexicon, threshold: float = 0.3, text_col: str = "text") -> DataFrame:
+    """Rows of ``docs`` (all columns) that score below the threshold; nothing is shuffled."""
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield b.filter(pa.array([lexicon.score(t) < threshold for t in b.column(b.schema.get_field_index(text_col)).to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(keep, docs.schema)
+
+
 def held_out(c: Column, modulus: int, rest: int) -> Column:
     return F.coalesce(F.crc32(c.cast("string")) % modulus == rest, F.lit(False))
 
 
-def fit_for(docs: DataFrame, labels: DataFrame, max_train_rows: int = 40_000) -> Lexicon:
+def fit_for(docs: DataFrame, labels: DataFrame, max_train_rows: int = 12_000) -> Lexicon:
     """The lexicon that the contract's training rows give."""
     return fit_lexicon(labelled_sample(docs, labels, ~held_out(F.col("id"), 4, 2), "toxic", max_train_rows, "doc_id", "text"))
 
