@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from spreadlab.llm.common import partitions_for, table
+from spreadlab.llm.common import table
 from spreadlab.storage import materialize
 
 BLOCK_WORDS = 512
@@ -159,23 +159,25 @@ def mix_counts(docs: DataFrame, **options) -> DataFrame:
     return out.select("key", "size", "source_size", "target", (F.col("size") * F.col("passes") + F.coalesce("part", F.lit(0))).alias("taken"))
 
 
-def mix_documents(docs: DataFrame, shards: int | None = None, **options) -> DataFrame:
-    """The mix itself: rows of ``docs`` (same columns), whole passes first as whole rows, the rest as passages.
+def mix_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
+    """The mix itself: rows of ``docs`` (same columns), whole passes as whole rows, the rest as passages.
 
-    Dealt to output shards and shuffled locally by a hash within each.
+    The join deals rows to tasks by a hash of their key; each task shuffles its rows by another hash.
     """
     columns = docs.columns
-    rows, targets, blocks = plan_mix(docs, **options)
-    pieces = blocks.groupBy(F.col("key").alias("k")).agg(F.sort_array(F.collect_list(F.struct("first", "words"))).alias("pieces"))
-    passes = targets.select(F.col("source").alias("s"), "passes")
-    plan = rows.join(passes, F.col("source").eqNullSafe(F.col("s"))).join(pieces, F.col("key").eqNullSafe(F.col("k")), "left").filter("passes > 0 OR pieces IS NOT NULL")
-    same = Window.partitionBy("_id", "_hash").orderBy("_source", "_size")
-    full = docs.withColumns({"_id": F.col("doc_id").cast("long"), "_hash": row_key("doc_id", "text")["hash"], "_source": F.col("source").cast("string"), "_size": word_count(F.col("text"))}).withColumn("_copy", F.row_number().over(same))
-    met = full.join(plan.select("key", "passes", "pieces"), F.col("_id").eqNullSafe(F.col("key.id")) & (F.col("_hash") == F.col("key.hash")) & (F.col("_copy") == F.col("key.copy")))
+    rows, targets, blocks = plan_mix(docs, id_col, text_col, source_col, **options)
+    pieces = blocks.groupBy(F.col("key").alias("k")).agg(F.sort_array(F.collect_list(F.struct("first", "words"))).alias("_pieces"))
+    passes = targets.select(F.col("source").alias("s"), F.col("passes").alias("_passes"))
+    plan = rows.join(passes, F.col("source").eqNullSafe(F.col("s"))).join(pieces, F.col("key").eqNullSafe(F.col("k")), "left").filter("_passes > 0 OR _pieces IS NOT NULL")
+    full = docs.withColumns({"_id": F.col(id_col).cast("long"), "_hash": row_key(id_col, text_col)["hash"], "_copy": F.lit(1)})
+    if not rows.filter("key.copy > 1").isEmpty():  # number repeated rows as the plan did
+        same = Window.partitionBy("_id", "_hash").orderBy(F.col(source_col).cast("string"), word_count(F.col(text_col)))
+        full = full.withColumn("_copy", F.row_number().over(same))
+    met = full.join(plan.select("key", "_passes", "_pieces"), F.col("_id").eqNullSafe(F.col("key.id")) & (F.col("_hash") == F.col("key.hash")) & (F.col("_copy") == F.col("key.copy")))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts, passes_, pieces_ = (b.column(b.schema.get_field_index(n)).to_pylist() for n in ("text", "passes", "pieces"))
+            texts, passes_, pieces_ = (b.column(b.schema.get_field_index(n)).to_pylist() for n in (text_col, "_passes", "_pieces"))
             take, new = [], []
             for i, (text, n, some) in enumerate(zip(texts, passes_, pieces_, strict=True)):
                 take += [i] * n
@@ -186,13 +188,13 @@ def mix_documents(docs: DataFrame, shards: int | None = None, **options) -> Data
                         take.append(i)
                         new.append(text[spans[run[0]][0] : spans[run[1] - 1][1]])
             kept = b.take(pa.array(take, pa.int64()))
-            arrays = [pa.array(new, pa.string()) if n == "text" else kept.column(kept.schema.get_field_index(n)) for n in columns]
+            arrays = [pa.array(new, pa.string()) if n == text_col else kept.column(kept.schema.get_field_index(n)) for n in columns]
             yield pa.RecordBatch.from_arrays(arrays, columns)
 
-    mixed = met.select(*columns, "passes", "pieces").mapInArrow(cut, docs.select(*columns).schema)
-    counted = mixed.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in columns else mixed
-    order = F.xxhash64("doc_id", "text", F.lit(23))
-    return counted.repartition(shards or partitions_for(docs), F.xxhash64("doc_id", F.lit(29))).sortWithinPartitions(order)
+    mixed = met.select(*columns, "_passes", "_pieces").mapInArrow(cut, docs.select(*columns).schema)
+    if "n_chars" in columns:
+        mixed = mixed.withColumn("n_chars", F.length(text_col).cast(docs.schema["n_chars"].dataType))
+    return mixed.sortWithinPartitions(F.xxhash64(id_col, text_col, F.lit(23)))
 
 
 def runs_of(pieces: list[dict]) -> list[tuple[int, int]]:
