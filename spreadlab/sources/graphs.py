@@ -66,7 +66,7 @@ def message(spark: SparkSession, sf_dir: str) -> DataFrame:
 def message_gap(spark: SparkSession, sf_dir: str, minutes: int = 2) -> DataFrame:
     """User -> user of the next event of any kind within some minutes."""
     e = read(spark, sf_dir, "events").select("user_id", "ts", "event_id")
-    near = successor(e, "user_id", "ts", "event_id").filter(F.unix_micros("next_ts") - F.unix_micros("ts") <= minutes * 60_000_000)
+    near = successor(e, "user_id", "ts", "event_id").filter(F.unix_micros(F.col("next_ts").cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp")) <= minutes * 60_000_000)
     return weighted(near.select(F.col("user_id").alias("src"), F.col("next_user_id").alias("dst")))
 
 

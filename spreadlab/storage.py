@@ -10,6 +10,8 @@ import atexit
 import shutil
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -51,6 +53,22 @@ def truncate_lineage(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def ship_package(spark: SparkSession) -> None:
+    """Send this package to the Python workers once a session, so they import it wherever they run."""
+    sc = spark.sparkContext
+    if getattr(sc, "_spreadlab_sent", False):
+        return
+    home = Path(__file__).resolve().parent
+    folder = Path(tempfile.mkdtemp(prefix="spreadlab-zip-"))
+    atexit.register(shutil.rmtree, folder, True)
+    archive = folder / "spreadlab_package.zip"
+    with zipfile.ZipFile(archive, "w", zipfile.ZIP_DEFLATED) as out:
+        for file in sorted(home.rglob("*.py")):
+            out.write(file, str(file.relative_to(home.parent)))
+    sc.addPyFile(str(archive))
+    sc._spreadlab_sent = True
+
+
 def drop_scratch(spark: SparkSession, path: str) -> None:
     """Delete a scratch folder through Spark's file system layer."""
     jvm = spark.sparkContext._jvm
