@@ -21,7 +21,7 @@ from spreadlab.storage import ship_package
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
-METHODS = ["naive", "single_edge_recursive", "cube_basic_bfs", "cube_recursive_random", "cube_recursive_bfs", "stair_recursive_random", "stair_recursive_bfs"]
+METHODS = ["naive", "single_edge_recursive", "cube_recursive_random", "cube_recursive_bfs", "stair_recursive_bfs"]
 
 
 def main() -> None:

@@ -145,49 +145,63 @@ def leaves_of(graph: Graph, seed: int, coins: Coins, scheme: str | None, selecto
     return found, count
 
 
-def outcomes(graph: Graph, seed: int, coins: Coins, leaves: list[Leaf], statistic: tuple = ("spread",), chunk: int = 1024) -> np.ndarray:
+class LazyWorlds:
+    """Edge states of some draws, 64 to a word; an edge's coins are thrown when its source is first reached."""
+
+    def __init__(self, graph: Graph, coins: Coins, draws: np.ndarray, leaves: list[tuple[Leaf, int, int]]):
+        self.graph, self.coins, self.draws = graph, coins, draws
+        self.width = -(-len(draws) // 64) * 64
+        self.live = np.zeros((len(graph.edge_id), self.width // 64), np.uint64)
+        self.known = np.zeros(len(graph.edge_id), bool)
+        self.fixed = np.unique(np.concatenate([x.edges for x, _, _ in leaves])) if leaves else np.zeros(0, np.int64)
+        self.on = np.zeros((len(self.fixed), self.width // 64), np.uint64)
+        self.off = np.zeros_like(self.on)
+        for leaf, a, b in leaves:
+            mask = np.zeros(self.width, bool)
+            mask[a:b] = True
+            word, at = np.packbits(mask, bitorder="little").view(np.uint64), np.searchsorted(self.fixed, leaf.edges)
+            self.on[at[leaf.status == 1]] |= word
+            self.off[at[leaf.status == 0]] |= word
+
+    def of(self, edges: np.ndarray) -> np.ndarray:
+        new = edges[~self.known[edges]]
+        step = max(1, (8 << 20) // max(1, self.width))
+        for i in range(0, len(new), step):
+            ids = new[i : i + step]
+            bits = np.zeros((len(ids), self.width), bool)
+            bits[:, : len(self.draws)] = self.coins.live(self.graph.edge_id[ids], self.graph.p[ids], self.draws)
+            words = np.packbits(bits, axis=1, bitorder="little").view(np.uint64)
+            if len(self.fixed):
+                at = np.minimum(np.searchsorted(self.fixed, ids), len(self.fixed) - 1)
+                hit = self.fixed[at] == ids
+                words[hit] = (words[hit] & ~self.off[at[hit]]) | self.on[at[hit]]
+            self.live[ids] = words
+        self.known[new] = True
+        return self.live[edges]
+
+
+def outcomes(graph: Graph, seed: int, coins: Coins, leaves: list[Leaf], statistic: tuple = ("spread",), chunk: int = 256) -> np.ndarray:
     """f of every draw of the leaves, in their order."""
     draws = np.concatenate([x.draws for x in leaves])
     kind, *args = statistic
-    reachable = graph.bfs_order(seed)
-    position = np.full(len(graph.edge_id), -1)
-    position[reachable] = np.arange(len(reachable))
-    results, column = [], 0
     spans = np.cumsum([0] + [len(x.draws) for x in leaves])
+    results = []
     for at in range(0, len(draws), chunk):
         some = draws[at : at + chunk]
-        width = -(-len(some) // 64) * 64
-        live = np.zeros((len(reachable), width // 64), np.uint64)
-        step = max(1, (8 << 20) // max(1, width))
-        for e in range(0, len(reachable), step):
-            ids = reachable[e : e + step]
-            bits = np.zeros((len(ids), width), bool)
-            bits[:, : len(some)] = coins.live(graph.edge_id[ids], graph.p[ids], some)
-            live[e : e + step] = np.packbits(bits, axis=1, bitorder="little").view(np.uint64)
-        for leaf, lo, hi in zip(leaves, spans, spans[1:], strict=False):
-            a, b = max(lo, at) - at, min(hi, at + chunk) - at
-            if a >= b or not len(leaf.edges):
-                continue
-            mask = np.zeros(width, bool)
-            mask[a:b] = True
-            word = np.packbits(mask, bitorder="little").view(np.uint64)
-            where = position[leaf.edges]
-            known = where >= 0
-            live[where[known & (leaf.status == 0)]] &= ~word
-            live[where[known & (leaf.status == 1)]] |= word
-        results.append(_measure(graph, seed, reachable, live, width, kind, args)[: len(some)])
-        column += len(some)
+        first, last = int(np.searchsorted(spans, at, "right")) - 1, int(np.searchsorted(spans, at + len(some), "left"))
+        here = [(leaves[i], max(0, spans[i] - at), min(len(some), spans[i + 1] - at)) for i in range(first, last) if len(leaves[i].edges)]
+        worlds = LazyWorlds(graph, coins, some, here)
+        results.append(_measure(graph, seed, worlds, kind, args)[: len(some)])
     return np.concatenate(results) if results else np.zeros(0)
 
 
-def _measure(graph: Graph, seed: int, reachable: np.ndarray, live: np.ndarray, width: int, kind: str, args: list) -> np.ndarray:
-    words = width // 64
-    src, dst = graph.src[reachable], graph.dst[reachable]
-    by_src = np.argsort(src, kind="stable")
-    starts = np.searchsorted(src[by_src], np.arange(len(graph.nodes) + 1))
+def _measure(graph: Graph, seed: int, worlds: LazyWorlds, kind: str, args: list) -> np.ndarray:
+    width, words = worlds.width, worlds.width // 64
     reached = np.zeros((len(graph.nodes), words), np.uint64)
     reached[seed] = np.uint64(0xFFFFFFFFFFFFFFFF)
-    fresh, active, hop = reached.copy(), np.array([seed]), 0
+    fresh, active, hop = np.zeros_like(reached), np.array([seed]), 0
+    fresh[seed] = reached[seed]
+    touched = [active]
     target = graph.number(args[0]) if kind in ("reaches", "reaches_within", "distance") else None
     limit = args[1] if kind == "reaches_within" else None
     cap = float(args[1]) if kind == "distance" else 0.0
@@ -196,21 +210,20 @@ def _measure(graph: Graph, seed: int, reachable: np.ndarray, live: np.ndarray, w
         distance[:] = 0
     while len(active) and (limit is None or hop < limit):
         hop += 1
-        lengths = starts[active + 1] - starts[active]
-        e = by_src[np.repeat(starts[active] - np.concatenate([[0], np.cumsum(lengths)[:-1]]), lengths) + np.arange(lengths.sum())]
+        e = graph.out_edges(active)
         if not len(e):
             break
-        go = fresh[src[e]] & live[e]
-        order = np.argsort(dst[e], kind="stable")
-        ends = dst[e][order]
+        go = fresh[graph.src[e]] & worlds.of(e)
+        order = np.argsort(graph.dst[e], kind="stable")
+        ends = graph.dst[e][order]
         heads = np.flatnonzero(np.concatenate([[True], ends[1:] != ends[:-1]]))
         nodes = ends[heads]
         new = np.bitwise_or.reduceat(go[order], heads, axis=0) & ~reached[nodes]
         some = new.any(1)
         active = nodes[some]
-        fresh = np.zeros_like(reached) if len(active) * 4 > len(reached) else fresh
         fresh[active] = new[some]
         reached[active] |= new[some]
+        touched.append(active)
         if kind == "distance" and target is not None and (active == target).any():
             hit = np.unpackbits(fresh[target].view(np.uint8), bitorder="little").astype(bool)
             distance[hit] = np.minimum(distance[hit], hop)
@@ -224,9 +237,9 @@ def _measure(graph: Graph, seed: int, reachable: np.ndarray, live: np.ndarray, w
             at = graph.number(t)
             hit = hit & reached[at] if at is not None else hit & np.uint64(0)
         return np.unpackbits(hit.view(np.uint8), bitorder="little").astype(float)
-    total = np.zeros(width)
-    for i in range(0, len(reached), 4096):
-        total += np.unpackbits(reached[i : i + 4096].view(np.uint8), axis=1, bitorder="little").sum(0)
+    total, nodes = np.zeros(width), np.unique(np.concatenate(touched))
+    for i in range(0, len(nodes), 4096):
+        total += np.unpackbits(reached[nodes[i : i + 4096]].view(np.uint8), axis=1, bitorder="little").sum(0)
     return total - 1
 
 
