@@ -1,7 +1,7 @@
 """Headline timings: one JSON line.
 
 BENCH_SF_DIR (default /root/testdata/sf0.1) names the tables, BENCH_CPUS the local cores.
-s_* : seconds per evaluation (one seed, 1,000 draws) of an estimator, as the paper's tables count.
+s_* : seconds per evaluation (one seed, 1,000 draws) of an estimator.
 """
 
 from __future__ import annotations
