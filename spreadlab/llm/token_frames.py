@@ -42,14 +42,27 @@ BYTE_LETTERS = {b: 0x100 + i for i, b in enumerate(b for b in range(256) if b no
 _LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f"
 SPACE_LETTER = chr(BYTE_LETTERS[0x20])
 KNOWN_LETTERS = re.compile(f" ?[{_LETTERS}]+").fullmatch
-_MARKS = "[.,;:!?|#$%&*()+/=-]+"
+MARKS = ".,;:!?|#$%&*()+/=-"
+_MARKS = f"[{MARKS}]+"
 PLAIN_SEGMENT = re.compile(f" ?[{_LETTERS}]+(?:{_MARKS}|\n(?=[{_LETTERS}])|[{_LETTERS}]+)+").fullmatch
 PLAIN_TOKENS = re.compile(f" ?[{_LETTERS}]+|{_MARKS}|\n").findall
-ODD_SPACE = re.compile(r" \s|\s |\A | \Z").search
+OTHER_SPACES = [chr(c) for c in range(0x3001) if chr(c).isspace() and c != 0x20]
 
 MANIFEST = T.StructType([T.StructField("part", T.IntegerType()), T.StructField("path", T.StringType()), T.StructField("docs", T.LongType()), T.StructField("ids", T.LongType())])
 
 
+def has_odd_space(text: str) -> bool:
+    """Whether a space stands at an end or next to white space; plain searches, since most texts hold few kinds of it."""
+    if text[:1] == " " or text[-1:] == " " or "  " in text:
+        return True
+    return any(c in text and (f" {c}" in text or f"{c} " in text) for c in OTHER_SPACES)
+
+
+def packed_ids(ids: list[int]) -> bytes:
+    """Little-endian unsigned 32-bit integers."""
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
 class SegmentEncoder(dict):
     """Encodes texts through the tokenizers library, remembering segments that it has met.
 
@@ -66,12 +79,15 @@ class SegmentEncoder(dict):
         self.model = self.tokenizer.model
 
     def __missing__(self, segment: str) -> bytes:
+        head = segment.rstrip(MARKS)
+        if len(head) < len(segment) and KNOWN_LETTERS(head):  # the commonest plain segment: a word and its marks
+            return self[head] + self[segment[len(head) :]]
         if KNOWN_LETTERS(segment):  # one pre-token: the model alone encodes it
             spelt = segment.replace(" ", SPACE_LETTER) if segment.isascii() else segment.encode().decode("latin-1").translate(BYTE_LETTERS)
-            return self.keep(segment, np.array([t.id for t in self.model.tokenize(spelt)], "<u4").tobytes())
+            return self.keep(segment, packed_ids([t.id for t in self.model.tokenize(spelt)]))
         if PLAIN_SEGMENT(segment):
             return b"".join([self[t] for t in PLAIN_TOKENS(segment)])
-        return self.keep(segment, np.array(self.tokenizer.encode(segment, add_special_tokens=False).ids, "<u4").tobytes())
+        return self.keep(segment, packed_ids(self.tokenizer.encode(segment, add_special_tokens=False).ids))
 
     def keep(self, segment: str, ids: bytes) -> bytes:
         if len(segment) <= 64:
@@ -82,7 +98,7 @@ class SegmentEncoder(dict):
 
     def encode(self, text: str) -> bytes:
         pieces = text.split(" ")
-        if not ODD_SPACE(text):
+        if not has_odd_space(text):
             segments = [pieces[0], *[" " + p for p in pieces[1:]]]
         else:
             segments, held = [], pieces[0]
