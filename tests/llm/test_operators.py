@@ -318,6 +318,20 @@ def test_repeated_passages(spark):
     assert substrings.repeated_passages(table.limit(0)).count() == 0
 
 
+def one_changed(words, at):
+    return " ".join([*words[:at], f"changed{at}", *words[at + 1 :]])
+
+
+def test_families_that_share_a_line(spark):
+    """Every family of one signature is settled, however many there are."""
+    rng = random.Random(15)
+    line = prose(rng, 24)
+    bodies = [prose(rng, 26, 10**6) for _ in range(14)]
+    texts = [f"{line} {b}" for b in bodies] + [f"{line} {one_changed(b.split(), 24)}" for b in bodies]
+    rows = substrings.repeated_passages(docs(spark, texts)).collect()
+    assert {(r.id, r.rep_id) for r in rows if r.id != r.rep_id} == {(14 + i, i) for i in range(14)}
+
+
 # --- pipeline ----------------------------------------------------------------------------------------
 def test_pipeline_stages(spark, tmp_path):
     corpus_pipeline = pytest.importorskip("corpus_pipeline")
