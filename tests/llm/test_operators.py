@@ -332,6 +332,17 @@ def test_families_that_share_a_line(spark):
     assert {(r.id, r.rep_id) for r in rows if r.id != r.rep_id} == {(14 + i, i) for i in range(14)}
 
 
+def test_recall_at_the_threshold(spark):
+    """Windows of 46 shingles of which 5 differ (similarity 41/51), alone in their texts."""
+    rng = random.Random(16)
+    passages = [prose(rng, 50, 10**6).split() for _ in range(150)]
+    texts = [" ".join(p) for p in passages] + [one_changed(p, rng.randrange(5, 45)) for p in passages]
+    rows = substrings.repeated_passages(docs(spark, texts)).collect()
+    links = {(r.id, r.rep_id): r.similarity for r in rows if r.id != r.rep_id}
+    assert set(links) <= {(150 + i, i) for i in range(150)} and len(links) >= 148
+    assert all(s == pytest.approx(41 / 51) for s in links.values())
+
+
 # --- pipeline ----------------------------------------------------------------------------------------
 def test_pipeline_stages(spark, tmp_path):
     corpus_pipeline = pytest.importorskip("corpus_pipeline")
