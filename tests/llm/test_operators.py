@@ -343,6 +343,16 @@ def test_recall_at_the_threshold(spark):
     assert all(s == pytest.approx(41 / 51) for s in links.values())
 
 
+def test_passages_side_by_side_and_their_ends(spark):
+    rng = random.Random(17)
+    one, two, tail = prose(rng, 60), prose(rng, 80), prose(rng, 60, 10**6).split()
+    texts = [f"{prose(rng, 30)} {one} {prose(rng, 200)} {two} {prose(rng, 20)}", f"{prose(rng, 10)} {two} {one} {prose(rng, 15)}"]
+    texts += [f"{prose(rng, 7)} {prose(random.Random(18), 70)} {' '.join(tail)}", f"{prose(rng, 9)} {prose(random.Random(18), 70)} {one_changed(tail, 30)} {prose(rng, 40)}"]
+    rows = substrings.repeated_passages(docs(spark, texts)).collect()
+    assert sorted((r.start_word, r.n_words, r.rep_start_word) for r in rows if (r.id, r.rep_id) == (1, 0)) == [(10, 80, 290), (90, 60, 30)]
+    assert [(r.start_word, r.n_words, r.rep_start_word) for r in rows if (r.id, r.rep_id) == (3, 2)] == [(9, 130, 7)]
+
+
 # --- pipeline ----------------------------------------------------------------------------------------
 def test_pipeline_stages(spark, tmp_path):
     corpus_pipeline = pytest.importorskip("corpus_pipeline")
