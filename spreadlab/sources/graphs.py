@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -126,10 +128,38 @@ def repost(spark: SparkSession, sf_dir: str) -> DataFrame:
     return weighted(kept.alias("a").join(kept.alias("b"), "line").filter("a.doc_id < b.doc_id").select(F.col("a.doc_id").alias("src"), F.col("b.doc_id").alias("dst")))
 
 
-def knn(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
-    """The k nearest vectors of the same label by inner product, with s = clipped similarity and w = 1."""
-    e = read(spark, sf_dir, "embeddings").select("vec_id", "label", F.posexplode(F.transform("embedding", lambda x: x.cast("double"))).alias("d", "x"))
-    dots = e.alias("a").join(e.alias("b"), ["label", "d"]).filter("a.vec_id <> b.vec_id").groupBy(F.col("a.vec_id").alias("src"), F.col("b.vec_id").alias("dst")).agg(F.round(F.sum(F.col("a.x") * F.col("b.x")), 6).alias("s"))
+def knn(spark: SparkSession, sf_dir: str, k: int = 5, block: int = 2000) -> DataFrame:
+    """The k nearest of all other vectors by inner product, with s = clipped similarity and w = 1.
+
+    Every pair of blocks is one matrix product that keeps k rows a vector. Shorter vectors count as
+    filled up with zeros; null, empty and non-finite ones take no part; a repeated id is one vector.
+    """
+    e = read(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("v"), F.transform("embedding", lambda x: x.cast("double")).alias("x"))
+    e = e.filter("v IS NOT NULL AND size(x) > 0").filter(F.forall("x", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))).dropDuplicates(["v"])
+    e = materialize(e, "vectors")
+    blocks = max(1, -(-e.count() // block))
+    every = F.sequence(F.lit(0), F.lit(blocks - 1))
+    dealt = e.withColumn("own", F.pmod(F.xxhash64("v"), F.lit(blocks)).cast("int"))
+    left = dealt.withColumn("other", F.explode(every))
+    right = dealt.withColumnRenamed("own", "other").withColumn("own", F.explode(every))
+
+    def nearest(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        if not len(a) or not len(b):
+            return pd.DataFrame({"src": [], "dst": [], "s": []})
+        b = b.sort_values("v")
+        width = max(map(len, [*a["x"], *b["x"]]))
+        x, y = (np.stack([np.pad(np.asarray(v, float), (0, width - len(v))) for v in side["x"]]) for side in (a, b))
+        src, dst = a["v"].to_numpy(), b["v"].to_numpy()
+        out = []
+        for at in range(0, len(src), 256):
+            s = np.round(x[at : at + 256] @ y.T, 6)
+            s[src[at : at + 256, None] == dst] = -np.inf
+            best = np.argsort(-s, axis=1, kind="stable")[:, :k]
+            out.append(pd.DataFrame({"src": np.repeat(src[at : at + 256], best.shape[1]), "dst": dst[best].ravel(), "s": np.take_along_axis(s, best, 1).ravel()}))
+        near = pd.concat(out)
+        return near[near["src"] != near["dst"]]
+
+    dots = left.groupBy("own", "other").cogroup(right.groupBy("own", "other")).applyInPandas(nearest, "src long, dst long, s double")
     best = dots.withColumn("rank", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("s"), "dst"))).filter(F.col("rank") <= k)
     return best.select("src", "dst", F.lit(1).cast("long").alias("w"), F.greatest(F.lit(0.0), F.least(F.lit(1.0), "s")).alias("s"))
 
