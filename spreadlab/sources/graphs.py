@@ -120,12 +120,14 @@ def hierarchy(spark: SparkSession, sf_dir: str) -> DataFrame:
     return weighted(n.unionByName(c))
 
 
-def repost(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents that share a line (20 characters or more, in 2 to 20 documents), lower id -> higher."""
+def repost(spark: SparkSession, sf_dir: str, part: int = 64) -> DataFrame:
+    """Documents that share a line (20 characters or more), lower id -> higher; a line of many documents is dealt in parts."""
     lines = read(spark, sf_dir, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).filter("length(line) >= 20").distinct()
-    few = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n")).filter("n BETWEEN 2 AND 20").select("line")
-    kept = lines.join(few, "line")
-    return weighted(kept.alias("a").join(kept.alias("b"), "line").filter("a.doc_id < b.doc_id").select(F.col("a.doc_id").alias("src"), F.col("b.doc_id").alias("dst")))
+    parts = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("line", F.ceil(F.col("n") / part).alias("parts"))
+    kept = materialize(lines.join(parts, "line"), "shared-lines")
+    low = kept.select("line", F.pmod(F.xxhash64("doc_id"), "parts").alias("part"), F.col("doc_id").alias("src"))
+    high = kept.select("line", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), F.col("doc_id").alias("dst"))
+    return weighted(low.join(high, ["line", "part"]).filter("src < dst").select("src", "dst"))
 
 
 def knn(spark: SparkSession, sf_dir: str, k: int = 5, block: int = 2000) -> DataFrame:

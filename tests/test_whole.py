@@ -20,3 +20,11 @@ def test_knn_compares_all_vectors(spark, tmp_path):
     want = {(i, j) for i in range(90) for j in sorted((j for j in range(90) if j != i), key=lambda j: (-s[i, j], j))[:5]}
     for block in (2000, 20):
         assert {(r.src, r.dst) for r in G.knn(spark, str(tmp_path), block=block).collect()} == want
+
+
+def test_repost_keeps_lines_of_any_frequency(spark, tmp_path):
+    hot, warm = "a line that every document has", "a line that some documents have"
+    texts = ["\n".join([hot, *([warm] if i % 3 == 0 else []), f"own {i}"]) for i in range(150)]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {(r.src, r.dst): r.w for r in G.repost(spark, str(tmp_path)).collect()}
+    assert got == {(a, b): 1 + (a % 3 == 0 and b % 3 == 0) for a, b in itertools.combinations(range(150), 2)}
