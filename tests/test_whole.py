@@ -28,3 +28,21 @@ def test_repost_keeps_lines_of_any_frequency(spark, tmp_path):
     spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {(r.src, r.dst): r.w for r in G.repost(spark, str(tmp_path)).collect()}
     assert got == {(a, b): 1 + (a % 3 == 0 and b % 3 == 0) for a, b in itertools.combinations(range(150), 2)}
+
+
+def test_region_worlds_of_all_edges(spark):
+    e = catalog.region_top(spark, SF)
+    rows, seed = e.orderBy("edge_id").collect(), catalog.region_seed(e)
+    assert len(rows) == G.region(spark, SF).count() > 12
+    world, pr = np.arange(1 << len(rows)), np.ones(1 << len(rows))
+    for i, r in enumerate(rows):
+        pr *= np.where(world >> i & 1, r.p, 1 - r.p)
+    at = {n: i for i, n in enumerate(sorted({seed, *(n for r in rows for n in (r.src, r.dst))}))}
+    reach = np.full(len(world), 1 << at[seed])
+    for _ in at:
+        for i, r in enumerate(rows):
+            reach |= (world >> i & reach >> at[r.src] & 1) << at[r.dst]
+    f = sum(reach >> i & 1 for i in range(len(at))) - 1
+    got = catalog.exact_region(spark, SF).collect()[0]
+    assert got.spread == pytest.approx((pr * f).sum(), abs=1e-8) and got.total_probability == pytest.approx(1)
+    assert got.variance == pytest.approx((pr * f * f).sum() - (pr * f).sum() ** 2, abs=1e-8)
