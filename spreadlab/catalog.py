@@ -282,9 +282,9 @@ _STEPS = coin_sql("7", "0", "r.draw", "e.edge_id")
     step AS (SELECT draw, seed AS node, 0 AS step FROM seeds, range(16) r(draw) UNION SELECT s.draw, l.dst, s.step + 1 FROM step s JOIN live l ON l.draw = s.draw AND l.src = s.node WHERE s.step < 3)
     SELECT draw, node, min(step)::INTEGER AS step FROM step GROUP BY 1, 2""")
 def cascade_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Independent cascade by time step, three steps: the step of a node is its hop in the live graph."""
+    """Independent cascade by time step, to its end: the step of a node is its hop in the live graph."""
     e = message_edges(spark, sf_dir)
-    return frontier(e, root_draws(spark, G.random_seeds(e, 1), 1, 16), hops=3).select("draw", "node", F.col("hop").alias("step"))
+    return frontier(e, root_draws(spark, G.random_seeds(e, 1), 1, 16)).select("draw", "node", F.col("hop").alias("step"))
 
 
 @query("relevant_edges", f"WITH RECURSIVE edges AS MATERIALIZED ({O.edges_sql('repost')}), seeds AS MATERIALIZED ({ONE_SEED}), n AS (SELECT seed AS node FROM seeds UNION SELECT dst FROM edges JOIN n ON src = node) SELECT edge_id, src, dst FROM edges WHERE src IN (SELECT node FROM n)")
@@ -376,10 +376,10 @@ def spread_closed_bipartite(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("spread_closed_tree", f"WITH e AS (SELECT src, dst, {coin_sql('11', 'src', 'dst')} AS p FROM ({O.GRAPHS['hierarchy']})) SELECT a.src AS seed, round(sum(own_p) + sum(through), 6) AS spread FROM (SELECT a.src, a.dst, any_value(a.p) AS own_p, coalesce(sum(a.p * b.p), 0) AS through FROM e a LEFT JOIN e b ON b.src = a.dst WHERE a.src < 1000 GROUP BY 1, 2) a GROUP BY 1")
 def spread_closed_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Trees: the sum over nodes of the product along the path."""
+    """Trees: the sum over nodes of the product along the path; every inner node is a seed."""
     e = G.hierarchy(spark, sf_dir).withColumn("p", coin(11, F.col("src"), F.col("dst")))
     low = e.select(F.col("src").alias("dst"), F.col("p").alias("p2")).groupBy("dst").agg(F.sum("p2").alias("below"))
-    return e.filter("src < 1000").join(low, "dst", "left").groupBy(F.col("src").alias("seed")).agg(F.round(F.sum(F.col("p") * (1 + F.coalesce("below", F.lit(0.0)))), 6).alias("spread"))
+    return e.join(low, "dst", "left").groupBy(F.col("src").alias("seed")).agg(F.round(F.sum(F.col("p") * (1 + F.coalesce("below", F.lit(0.0)))), 6).alias("spread"))
 
 
 @query("spread_closed_path", "WITH c AS (SELECT conv_id, count(DISTINCT turn) AS n FROM conversations GROUP BY 1) SELECT conv_id * 1000 AS seed, round(sum(0.5 ** k), 9) AS spread FROM c, range(1, 200) t(k) WHERE k < n GROUP BY 1")

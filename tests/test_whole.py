@@ -46,3 +46,23 @@ def test_region_worlds_of_all_edges(spark):
     got = catalog.exact_region(spark, SF).collect()[0]
     assert got.spread == pytest.approx((pr * f).sum(), abs=1e-8) and got.total_probability == pytest.approx(1)
     assert got.variance == pytest.approx((pr * f * f).sum() - (pr * f).sum() ** 2, abs=1e-8)
+
+
+def test_cascade_runs_to_its_end(spark, monkeypatch):
+    chain = spark.createDataFrame([(i, i, i + 1, 1, 1.0) for i in range(9)], "edge_id long, src long, dst long, w long, p double")
+    monkeypatch.setattr(catalog, "message_edges", lambda *_: chain)
+    monkeypatch.setattr(G, "random_seeds", lambda *_: spark.createDataFrame([(0,)], "seed long"))
+    got = {(r.draw, r.node, r.step) for r in catalog.cascade_steps(spark, SF).collect()}
+    assert got == {(d, n, n) for d in range(16) for n in range(10)}
+
+
+def test_closed_tree_has_every_seed(spark):
+    edges = [(r.src, r.dst) for r in G.hierarchy(spark, SF).collect()]
+    p = {e: md5_coin(11, *e) for e in edges}
+    below = {}
+    for a, b in edges:
+        below.setdefault(a, []).append(b)
+    spread = lambda n: sum(p[n, m] * (1 + spread(m)) for m in below.get(n, ()))
+    got = {r.seed: r.spread for r in catalog.spread_closed_tree(spark, SF).collect()}
+    assert set(got) == set(below)
+    assert all(got[n] == pytest.approx(spread(n), abs=1e-5) for n in below)
