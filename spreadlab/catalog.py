@@ -446,13 +446,13 @@ def effect_of_r(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = G.prepare(G.coorder(spark, sf_dir))
     s = G.random_seeds(e, 5)
     spec = SampleSpec(n=200, reps=20)
-    return workloads.effect_of_r(e, s, "cube", [1, 2, 3, 5], spec).unionByName(workloads.effect_of_r(e, s, "staircase", [10, 20, 30], spec))
+    return workloads.effect_of_r(e, s, "cube", [1, 2, 3, 5, 10], spec).unionByName(workloads.effect_of_r(e, s, "staircase", [10, 20, 30, 50, 70], spec))
 
 
 @query("workload_effect_of_n")
 def effect_of_n(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = G.prepare(G.coorder(spark, sf_dir))
-    return workloads.effect_of_n(e, G.random_seeds(e, 5), [200, 500, 1000], 20)
+    return workloads.effect_of_n(e, G.random_seeds(e, 5), [200, 500, 1000, 2000, 5000], 20)
 
 
 @query("work_counters")

@@ -66,3 +66,16 @@ def test_closed_tree_has_every_seed(spark):
     got = {r.seed: r.spread for r in catalog.spread_closed_tree(spark, SF).collect()}
     assert set(got) == set(below)
     assert all(got[n] == pytest.approx(spread(n), abs=1e-5) for n in below)
+
+
+def test_sweeps_take_every_value(spark, monkeypatch):
+    seen = []
+    one = spark.createDataFrame([(1,)], "r int")
+    monkeypatch.setattr(G, "prepare", lambda *_: one)
+    monkeypatch.setattr(G, "coorder", lambda *_: one)
+    monkeypatch.setattr(G, "random_seeds", lambda *_: one)
+    monkeypatch.setattr(catalog.workloads, "effect_of_r", lambda e, s, scheme, values, spec: seen.append((scheme, values)) or one)
+    monkeypatch.setattr(catalog.workloads, "effect_of_n", lambda e, s, values, reps: seen.append(("n", values)) or one)
+    catalog.effect_of_r(spark, SF)
+    catalog.effect_of_n(spark, SF)
+    assert seen == [("cube", [1, 2, 3, 5, 10]), ("staircase", [10, 20, 30, 50, 70]), ("n", [200, 500, 1000, 2000, 5000])]
