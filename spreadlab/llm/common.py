@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 import pyarrow.fs as pafs
@@ -12,6 +13,7 @@ from pyspark.sql import functions as F
 
 import numpy as np
 
+PIECE_ROWS = 256
 WORD = r"[^\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -79,9 +81,25 @@ def partitions_for(df: DataFrame) -> int:
 
 
 def arrow_rows(batches: Iterator[pa.RecordBatch], *names: str) -> Iterator[tuple]:
-    """Rows of Arrow batches as tuples of Python values."""
+    """Rows of Arrow batches as tuples of Python values, some hundred at a time, so that few texts are held twice."""
     for b in batches:
-        yield from zip(*(b.column(b.schema.get_field_index(n)).to_pylist() for n in names), strict=True)
+        for at in range(0, b.num_rows, PIECE_ROWS):
+            part = b.slice(at, PIECE_ROWS)
+            yield from zip(*(part.column(part.schema.get_field_index(n)).to_pylist() for n in names), strict=True)
+
+
+def tidy(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``run``, which hands its freed memory back when it ends: workers are reused by later stages."""
+
+    def tidied(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        try:
+            ctypes.CDLL(None).malloc_trim(0)
+        except (AttributeError, OSError):  # not this C library
+            return
+
+    return tidied
 
 
 class RowBuffer:

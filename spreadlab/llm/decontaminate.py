@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spreadlab.llm.common import RowBuffer, arrow_rows, bucket, hash_words, lower_words_of, shingle_hashes, table
+from spreadlab.llm.common import RowBuffer, arrow_rows, bucket, hash_words, lower_words_of, shingle_hashes, table, tidy
 from spreadlab.storage import materialize
 
 SEED_WORDS = 3
@@ -141,7 +141,7 @@ def item_blocks(docs: DataFrame, benchmark: DataFrame, share: float, least_seeds
                 at = np.flatnonzero(total_)
                 yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total_[at], pa.int64())], ["seed", "n"])
 
-        counted = docs.select("text").mapInArrow(count, "seed long, n long").groupBy("seed").agg(F.sum("n").alias("n")).toPandas()
+        counted = docs.select("text").mapInArrow(tidy(count), "seed long, n long").groupBy("seed").agg(F.sum("n").alias("n")).toPandas()
         frequency = np.zeros(len(found.seed_of), np.int64)
         frequency[counted["seed"].to_numpy(np.int64)] = counted["n"].to_numpy(np.int64)
         found.choose(frequency, share, least_seeds)
@@ -165,7 +165,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, least: float = LEAST_SCORE
             if len(buffer):
                 yield buffer.take()
 
-        found = rows.mapInArrow(run, "id long, item_id long, score double, start_word long, end_word long")
+        found = rows.mapInArrow(tidy(run), "id long, item_id long, score double, start_word long, end_word long")
         out = found if out is None else out.unionByName(found)
     return out
 
@@ -178,9 +178,9 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame, least: float = LEAST_SCORE
 
         def keep(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                yield b.filter(pa.array([not sent.value.leaks(t, least) for t in b.column(b.schema.get_field_index(text_col)).to_pylist()], pa.bool_()))
+                yield b.filter(pa.array([not sent.value.leaks(t, least) for (t,) in arrow_rows([b], text_col)], pa.bool_()))
 
-        docs = docs.mapInArrow(keep, docs.schema)
+        docs = docs.mapInArrow(tidy(keep), docs.schema)
     return docs
 
 

@@ -20,6 +20,7 @@ total of 0 gives rows with nothing taken.
 
 from __future__ import annotations
 
+import math
 import re
 from collections.abc import Iterator
 
@@ -29,12 +30,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from spreadlab.llm.common import table
+from spreadlab.llm.common import PIECE_ROWS, table, tidy
 from spreadlab.storage import materialize
 
 BLOCK_WORDS = 512
 WEIGHTS = (5, 2, 1)
-EXACT_LIMIT = 900_000_000  # numpy draws exactly below this; above, a rounded normal within the support
+NUMPY_LIMIT = 900_000_000  # the library's sampler takes smaller populations only
 WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 
 
@@ -67,12 +68,38 @@ def hypergeometric(rng: np.random.Generator, left: int, right: int, draws: int)
     low, high = max(0, draws - right), min(draws, left)
     if low == high:
         return low
-    if left + right < EXACT_LIMIT:
+    if left + right < NUMPY_LIMIT:
         return int(rng.hypergeometric(left, right, draws))
+    return ratio_of_uniforms(rng, left, right, draws)
+
+
+def log_factorial_step(a: int, d: int) -> float:
+    """log((a + d)! / a!) without the difference of two large logarithms."""
+    if abs(d) <= 16 or min(a, a + d) < 1000:
+        return math.lgamma(a + d + 1) - math.lgamma(a + 1) if max(a, a + d) < 1 << 20 else math.copysign(1, d) * sum(math.log(i) for i in range(min(a, a + d) + 1, max(a, a + d) + 1))
+    z, y = a + 1.0, a + d + 1.0
+    tail = (z - y) / (12 * y * z) - (1 / y**3 - 1 / z**3) / 360  # of the asymptotic series
+    return (z - 0.5) * math.log1p(d / z) + d * (math.log(y) - 1) + tail
+
+
+def ratio_of_uniforms(rng: np.random.Generator, left: int, right: int, draws: int) -> int:
+    """Hypergeometric draw for populations of any size: rejection against the exact probability relative to the mode's."""
     n = left + right
-    mean = draws * left / n
-    deviation = (mean * (right / n) * ((n - draws) / max(1, n - 1))) ** 0.5
-    return int(min(high, max(low, round(rng.normal(mean, deviation)))))
+    good, bad, m = min(left, right), max(left, right), min(draws, n - draws)
+    mean = m * good / n
+    mode = (m + 1) * (good + 1) // (n + 2)
+    spread = math.sqrt(mean * (bad / n) * ((n - m) / (n - 1)) + 0.5)
+    width = 2 * math.sqrt(2 / math.e) * spread + 3 - 2 * math.sqrt(3 / math.e)
+    while True:
+        u, v = 1.0 - rng.random(), rng.random()
+        k = math.floor(mean + 0.5 + width * (v - 0.5) / u)
+        if not max(0, m - bad) <= k <= min(m, good):
+            continue
+        d = k - mode
+        if 2 * math.log(u) <= -(log_factorial_step(mode, d) + log_factorial_step(good - mode, -d) + log_factorial_step(m - mode, -d) + log_factorial_step(bad - m + mode, d)):
+            break
+    of_left = k if left <= right else m - k
+    return of_left if m == draws else left - of_left
 
 
 def split_quota(counts: np.ndarray, draws: int, seed: int) -> np.ndarray:
@@ -101,10 +128,10 @@ def targets_for(sized: DataFrame, total_share: float = 1.5, weights: tuple[float
     return whole.withColumn("passes", F.when(F.col("source_size") > 0, F.floor(want / F.col("source_size"))).otherwise(0).cast("int")).withColumn("rest", F.when(F.col("source_size") > 0, want - F.col("passes") * F.col("source_size")).otherwise(0))
 
 
-def shards_for(targets: DataFrame, block_words: int, blocks_each: int = 50_000) -> int:
+def shards_for(targets: DataFrame, block_words: int, blocks_each: int = 10_000) -> int:
     """Shards of a bounded number of blocks; it follows the data, not the session."""
     words = targets.agg(F.sum("source_size")).collect()[0][0] or 0
-    return max(64, -(-words // (block_words * blocks_each)))
+    return max(512, -(-words // (block_words * blocks_each)))
 
 
 def draw_blocks(rows: DataFrame, targets: DataFrame, seed: int = 17, shards: int | None = None, block_words: int = BLOCK_WORDS) -> DataFrame:
@@ -164,35 +191,37 @@ def mix_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
     The join deals rows to tasks by a hash of their key; each task shuffles its rows by another hash.
     """
-    columns = docs.columns
     rows, targets, blocks = plan_mix(docs, id_col, text_col, source_col, **options)
-    pieces = blocks.groupBy(F.col("key").alias("k")).agg(F.sort_array(F.collect_list(F.struct("first", "words"))).alias("_pieces"))
-    passes = targets.select(F.col("source").alias("s"), F.col("passes").alias("_passes"))
-    plan = rows.join(passes, F.col("source").eqNullSafe(F.col("s"))).join(pieces, F.col("key").eqNullSafe(F.col("k")), "left").filter("_passes > 0 OR _pieces IS NOT NULL")
-    full = docs.withColumns({"_id": F.col(id_col).cast("long"), "_hash": row_key(id_col, text_col)["hash"], "_copy": F.lit(1)})
+    pieces = blocks.groupBy(F.col("key").alias("k")).agg(F.sort_array(F.collect_list(F.struct("first", "words"))).alias("pieces"))
+    passes = targets.select(F.col("source").alias("s"), "passes")
+    plan = rows.join(passes, F.col("source").eqNullSafe(F.col("s"))).join(pieces, F.col("key").eqNullSafe(F.col("k")), "left").filter("passes > 0 OR pieces IS NOT NULL").select("key", "passes", "pieces")
+    # the row travels as one column, so its names meet no others
+    key = row_key(id_col, text_col)
+    full = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), key["id"].alias("id"), key["hash"].alias("hash"), F.lit(1).alias("copy"), F.col(source_col).cast("string").alias("source"), word_count(F.col(text_col)).alias("size"))
     if not rows.filter("key.copy > 1").isEmpty():  # number repeated rows as the plan did
-        same = Window.partitionBy("_id", "_hash").orderBy(F.col(source_col).cast("string"), word_count(F.col(text_col)))
-        full = full.withColumn("_copy", F.row_number().over(same))
-    met = full.join(plan.select("key", "_passes", "_pieces"), F.col("_id").eqNullSafe(F.col("key.id")) & (F.col("_hash") == F.col("key.hash")) & (F.col("_copy") == F.col("key.copy")))
+        full = full.withColumn("copy", F.row_number().over(Window.partitionBy("id", "hash").orderBy("source", "size")))
+    met = full.join(plan, F.col("id").eqNullSafe(F.col("key.id")) & (F.col("hash") == F.col("key.hash")) & (F.col("copy") == F.col("key.copy")))
+    text_at = docs.columns.index(text_col)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            texts, passes_, pieces_ = (b.column(b.schema.get_field_index(n)).to_pylist() for n in (text_col, "_passes", "_pieces"))
-            take, new = [], []
-            for i, (text, n, some) in enumerate(zip(texts, passes_, pieces_, strict=True)):
-                take += [i] * n
-                new += [text] * n
-                if some:
-                    spans = [m.span() for m in WORDS.finditer(text)]
-                    for run in runs_of(some):
-                        take.append(i)
-                        new.append(text[spans[run[0]][0] : spans[run[1] - 1][1]])
-            kept = b.take(pa.array(take, pa.int64()))
-            arrays = [pa.array(new, pa.string()) if n == text_col else kept.column(kept.schema.get_field_index(n)) for n in columns]
-            yield pa.RecordBatch.from_arrays(arrays, columns)
-
-    mixed = met.select(*columns, "_passes", "_pieces").mapInArrow(cut, docs.select(*columns).schema)
-    if "n_chars" in columns:
+        for whole in batches:
+            for b in (whole.slice(at, PIECE_ROWS) for at in range(0, whole.num_rows, PIECE_ROWS)):
+                cells = b.column(0).flatten()
+                take, new = [], []
+                for i, (text, n, some) in enumerate(zip(cells[text_at].to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True)):
+                    take += [i] * n
+                    new += [text] * n
+                    if some:
+                        spans = [m.span() for m in WORDS.finditer(text)]
+                        for run in runs_of(some):
+                            take.append(i)
+                            new.append(text[spans[run[0]][0] : spans[run[1] - 1][1]])
+                at = pa.array(take, pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(new, pa.string()) if j == text_at else c.take(at) for j, c in enumerate(cells)], docs_columns)
+
+    docs_columns = docs.columns
+    mixed = met.select("row", "passes", "pieces").mapInArrow(tidy(cut), docs.schema)
+    if "n_chars" in docs_columns:
         mixed = mixed.withColumn("n_chars", F.length(text_col).cast(docs.schema["n_chars"].dataType))
     return mixed.sortWithinPartitions(F.xxhash64(id_col, text_col, F.lit(23)))
 

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spreadlab.llm.common import RowBuffer, arrow_rows, table
+from spreadlab.llm.common import RowBuffer, arrow_rows, table, tidy
 from spreadlab.llm.toxicity import held_out, labelled_sample
 
 CLASSES = np.zeros((256, 8), np.float32)  # columns: letter, upper, digit, space, stop or comma, table bar, other mark, non-ASCII
@@ -166,7 +166,7 @@ def feature_rows(rows: DataFrame) -> DataFrame:
             x = [features(t) for (t,) in arrow_rows([b], "text")]
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float32()))], ["x"])
 
-    return rows.select("text").mapInArrow(run, "x array<float>")
+    return rows.select("text").mapInArrow(tidy(run), "x array<float>")
 
 
 def fit_quality(docs: DataFrame, labels: DataFrame, max_rows: int = 20_000, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", usable=None) -> tuple[PUModel | None, float]:
@@ -192,14 +192,13 @@ def score_quality(docs: DataFrame, model: PUModel | None, id_col: str = "doc_id"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = list(arrow_rows([b], "id", "text"))
-            if not rows:
+            if not b.num_rows:
                 continue
-            x = np.stack([features(t) for _, t in rows]).astype(np.float64)
-            s = model.score(x) if model is not None else np.full(len(rows), 0.5)
-            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in rows], pa.int64()), pa.array(s, pa.float64())], schema=schema)
+            x = np.stack([features(t) for (t,) in arrow_rows([b], "text")]).astype(np.float64)
+            s = model.score(x) if model is not None else np.full(len(x), 0.5)
+            yield pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index("id")), pa.array(s, pa.float64())], schema=schema)
 
-    scored = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "id long, quality double")
+    scored = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "id long, quality double")
     return scored.select(F.col("id").cast(id_type).alias("id"), "quality")
 
 

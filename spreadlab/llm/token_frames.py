@@ -7,14 +7,14 @@ A reader that wants some documents decompresses only the frames they lie in.
 
 Defined cases: a null or empty text is the end id alone; repeated rows are repeated documents, in
 text order within a doc_id; a null doc_id sorts first; an empty table gives no files and no rows;
-other columns are ignored.
+other columns are ignored. A special literal of the vocabulary inside a text is that special id, as
+the library's plain call gives it.
 """
 
 from __future__ import annotations
 
 import re
 import struct
-import zlib
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from spreadlab.llm.common import RowBuffer, arrow_rows, open_fs, table
+from spreadlab.llm.common import RowBuffer, arrow_rows, open_fs, table, tidy
 from spreadlab.storage import materialize, scratch_path
 
 # Fixed values of the seekable layout.
@@ -34,7 +34,8 @@ SKIPPABLE_MAGIC = 0x184D2A5E
 SEEK_MAGIC = 0x8F92EAB1
 CHECKSUM_FLAG = 0x80
 FRAME_BYTES = 256 << 10
-MEMO_ENTRIES = 1_000_000
+MEMO_BYTES = 40 << 20  # of each of a memo's two generations
+ENTRY_BYTES = 140  # what an entry takes besides its characters
 
 # A byte-level vocabulary writes each byte as a character: printable ones as themselves, the rest from U+0100 on.
 _PRINTED = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
@@ -67,7 +68,11 @@ class SegmentEncoder(dict):
     """Encodes texts through the tokenizers library, remembering segments that it has met.
 
     A text is cut only at a single ASCII space between two characters that are not white space. No
-    pre-token spans such a place, so the segments' ids in a row are the whole text's ids.
+    pre-token spans such a place, so the segments' ids in a row are the whole text's ids. A text that
+    holds one of the vocabulary's special literals goes to the library whole.
+
+    The memo is bounded by bytes: when the young generation is full it becomes the old one, and
+    what is met again moves back, so common segments stay.
     """
 
     def __init__(self, path: str):
@@ -75,10 +80,15 @@ class SegmentEncoder(dict):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
         self.model = self.tokenizer.model
+        self.old: dict[str, bytes] = {}
+        self.held = 0
+        specials = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.special = re.compile("|".join(map(re.escape, specials))).search if specials else None
 
     def __missing__(self, segment: str) -> bytes:
+        if (known := self.old.get(segment)) is not None:
+            return self.keep(segment, known)
         head = segment.rstrip(MARKS)
         if len(head) < len(segment) and KNOWN_LETTERS(head):  # the commonest plain segment: a word and its marks
             return self[head] + self[segment[len(head) :]]
@@ -91,12 +101,16 @@ class SegmentEncoder(dict):
 
     def keep(self, segment: str, ids: bytes) -> bytes:
         if len(segment) <= 64:
-            if len(self) >= MEMO_ENTRIES:
+            self.held += len(segment) + len(ids) + ENTRY_BYTES
+            if self.held >= MEMO_BYTES:
+                self.old, self.held = dict(self), 0
                 self.clear()
             self[segment] = ids
         return ids
 
     def encode(self, text: str) -> bytes:
+        if self.special is not None and self.special(text):
+            return packed_ids(self.tokenizer.encode(text, add_special_tokens=False).ids)
         pieces = text.split(" ")
         if not has_odd_space(text):
             segments = [pieces[0], *[" " + p for p in pieces[1:]]]
@@ -173,12 +187,13 @@ def read_frame(source, entry: tuple[int, int, int, int]) -> bytes:
 def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = 2, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """Encode every text and write the files in ascending id order; returns (files, index).
 
-    files: part, path, docs, ids. index: part, nth, id, frame, offset (bytes in the frame), n_tokens.
+    files: part, path, docs, ids. index: part, nth, id, frame, offset (bytes in the frame), before (ids of
+    the file's documents before this one), n_tokens.
     Each task writes a file of its own attempt; only files of attempts that ended are in the index.
     """
     spark = docs.sparkSession
     folder = scratch_path(spark, "tokens")
-    index_schema = pa.schema([("part", pa.int32()), ("path", pa.string()), ("nth", pa.int64()), ("id", pa.int64()), ("frame", pa.int32()), ("offset", pa.int64()), ("n_tokens", pa.int64())])
+    index_schema = pa.schema([("part", pa.int32()), ("path", pa.string()), ("nth", pa.int64()), ("id", pa.int64()), ("frame", pa.int32()), ("offset", pa.int64()), ("before", pa.int64()), ("n_tokens", pa.int64())])
     end = struct.pack("<I", end_id)
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -186,7 +201,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = 2, id_
 
         task = TaskContext.get()
         fs, base = open_fs(folder)
-        encode, sink, nth = encoder(tokenizer_path).encode, None, 0
+        encode, sink, nth, before = encoder(tokenizer_path).encode, None, 0, 0
         out = RowBuffer(index_schema)
         for doc_id, text in arrow_rows(batches, "id", "text"):
             if sink is None:
@@ -196,9 +211,9 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = 2, id_
                 writer = FrameWriter(sink)
             ids = (encode(text) if text else b"") + end
             frame, offset = writer.add(ids)
-            if out.add(task.partitionId(), path, nth, doc_id, frame, offset, len(ids) // 4):
+            if out.add(task.partitionId(), path, nth, doc_id, frame, offset, before, len(ids) // 4):
                 yield out.take()
-            nth += 1
+            nth, before = nth + 1, before + len(ids) // 4
         if sink is not None:
             writer.finish()
             sink.close()
@@ -207,7 +222,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = 2, id_
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
     ordered = rows.repartitionByRange(F.col("id")).sortWithinPartitions("id", "text")
-    index = materialize(ordered.mapInArrow(write, "part int, path string, nth long, id long, frame int, offset long, n_tokens long"), "token-index")
+    index = materialize(ordered.mapInArrow(tidy(write), "part int, path string, nth long, id long, frame int, offset long, before long, n_tokens long"), "token-index")
     files = index.groupBy("part", "path").agg(F.count(F.lit(1)).alias("docs"), F.sum("n_tokens").alias("ids")).withColumn("path", F.concat(F.lit(folder + "/"), "path"))
     return files.select("part", "path", "docs", "ids"), index
 
@@ -215,22 +230,20 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, end_id: int = 2, id_
 def read_token_files(files: DataFrame, index: DataFrame) -> DataFrame:
     """Documents read back from the files: id, start (ids of all documents before), ids (binary), n_tokens.
 
-    One row per frame to read goes to the tasks, so a subset of the index opens only its frames.
+    One row per frame to read goes to the tasks, so a subset of the index opens only its frames; ``files``
+    is always the whole list, for it tells how many ids lie before each file.
     """
     from pyspark.sql import Window
 
     bases = files.select("part", F.col("path").alias("file"), (F.sum("ids").over(Window.orderBy("part")) - F.col("ids")).alias("base"))
-    # a file's documents in order: their counts are summed by frame first, so no window spans more than a file's frames
-    frames = index.groupBy("part", "frame").agg(F.sum("n_tokens").alias("frame_ids"), F.sort_array(F.collect_list(F.struct("offset", "nth", "id", "n_tokens"))).alias("docs"))
-    before = Window.partitionBy("part").orderBy("frame")
-    frames = frames.withColumn("before", F.sum("frame_ids").over(before) - F.col("frame_ids"))
-    wanted = frames.join(bases, "part").select("file", "frame", (F.col("base") + F.col("before")).alias("start"), "docs")
+    frames = index.groupBy("part", "frame").agg(F.sort_array(F.collect_list(F.struct("offset", "nth", "before", "id", "n_tokens"))).alias("docs"))
+    wanted = frames.join(bases, "part").select("file", "frame", "base", "docs")
     schema = pa.schema([("id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("ids", pa.binary())])
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         opened, source = None, None
         out = RowBuffer(schema)
-        for file, frame, start, docs in arrow_rows(batches, "file", "frame", "start", "docs"):
+        for file, frame, base, docs in arrow_rows(batches, "file", "frame", "base", "docs"):
             if file != opened:
                 if source is not None:
                     source.close()
@@ -240,14 +253,14 @@ def read_token_files(files: DataFrame, index: DataFrame) -> DataFrame:
             raw = read_frame(source, seek[frame])
             for d in docs:
                 ids = raw[d["offset"] : d["offset"] + 4 * d["n_tokens"]]
-                if out.add(d["id"], start + d["offset"] // 4, d["n_tokens"], ids, weight=len(ids)):
+                if out.add(d["id"], base + d["before"], d["n_tokens"], ids, weight=len(ids)):
                     yield out.take()
         if source is not None:
             source.close()
         if len(out):
             yield out.take()
 
-    return wanted.mapInArrow(read, "id long, start long, n_tokens long, ids binary")
+    return wanted.mapInArrow(tidy(read), "id long, start long, n_tokens long, ids binary")
 
 
 def token_digest(docs: DataFrame, tokenizer_path: str | None = None, end_id: int = 2) -> DataFrame:
@@ -266,7 +279,3 @@ def op10_token_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {"op10_token_frames": op10_token_frames}
 
-
-def crc_of(ids: list[int]) -> int:
-    """The contract's checksum, for tests."""
-    return zlib.crc32(np.asarray(ids, "<u4").tobytes())

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from spreadlab.llm.common import bucket, table
+from spreadlab.llm.common import bucket, table, tidy
 
 SHARD_ROWS = 16_384
 LIMIT = 1 << 26  # components beyond this could overflow a 64-bit inner product
@@ -125,7 +125,7 @@ def exact_top_k(queries: DataFrame, vectors: DataFrame, k: int = 10, id_col: str
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), pa.int64()) for c in zip(*out, strict=True)], schema=schema)
 
-    partial = both.mapInArrow(run, "query_id long, vec_id long, score long")
+    partial = both.mapInArrow(tidy(run), "query_id long, vec_id long, score long")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return partial.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

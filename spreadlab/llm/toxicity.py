@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spreadlab.llm.common import RowBuffer, arrow_rows, table
+from spreadlab.llm.common import RowBuffer, arrow_rows, table, tidy
 
 # Look-alike letters and the letters they stand for; digits and signs used as letters.
 HOMOGLYPHS = str.maketrans("аеорсухіјѕһԁӏԛԝɡɑοαεικνρτυхᴀткм", "aeopcyxijshdlqwgaoaeiknptuxatkm")
@@ -211,7 +211,7 @@ def fit_lexicon(sample: DataFrame, most_entries: int = 4000, most_candidates: in
                 out = {k: v + [("" if k == "entry" else {"t_n": words[1], "t_docs": rows[1], "c_n": words[0], "c_docs": rows[0]}[k])] for k, v in out.items()}
                 yield pa.RecordBatch.from_pydict(out, pa.schema([("entry", pa.string()), *((k, pa.int64()) for k in ("t_n", "t_docs", "c_n", "c_docs"))]))
 
-            found = learn.select("text", "label").mapInArrow(run, "entry string, t_n long, t_docs long, c_n long, c_docs long")
+            found = learn.select("text", "label").mapInArrow(tidy(run), "entry string, t_n long, t_docs long, c_n long, c_docs long")
             return found.groupBy("entry").agg(*(F.sum(k).alias(k) for k in ("t_n", "t_docs", "c_n", "c_docs")))
 
         first = count(None).filter("t_docs >= 3").orderBy(F.desc("t_docs"), "entry").limit(most_candidates + 1)
@@ -230,7 +230,7 @@ def fit_lexicon(sample: DataFrame, most_entries: int = 4000, most_candidates: in
                 x = [[*lexicon.features(t), float(y > 0)] for (t, y) in arrow_rows([b], "text", "label")]
                 yield pa.RecordBatch.from_pydict({"x": x}, pa.schema([("x", pa.list_(pa.float64()))]))
 
-        got = np.array([r.x for r in calibrate.select("text", "label").mapInArrow(measure, "x array<double>").collect()])
+        got = np.array([r.x for r in calibrate.select("text", "label").mapInArrow(tidy(measure), "x array<double>").collect()])
         if len(got) and 0 < got[:, -1].sum() < len(got):
             lexicon.coefficients = fit_logistic(got[:, :-1], got[:, -1])
         else:
@@ -259,7 +259,7 @@ def learn_exceptions(learn: DataFrame, lexicon: Lexicon, least: int = 3, most: i
         keys = sorted(out[0].keys() | out[1].keys())
         yield pa.RecordBatch.from_pydict({"phrase": keys, "t": [out[1][k] for k in keys], "c": [out[0][k] for k in keys]}, pa.schema([("phrase", pa.string()), ("t", pa.int64()), ("c", pa.int64())]))
 
-    found = learn.select("text", "label").mapInArrow(run, "phrase string, t long, c long").groupBy("phrase").agg(F.sum("t").alias("t"), F.sum("c").alias("c"))
+    found = learn.select("text", "label").mapInArrow(tidy(run), "phrase string, t long, c long").groupBy("phrase").agg(F.sum("t").alias("t"), F.sum("c").alias("c"))
     rows = found.filter((F.col("t") == 0) & (F.col("c") >= least)).orderBy(F.desc("c"), "phrase").limit(most).collect()
     return {r.phrase for r in rows}
 
@@ -277,7 +277,7 @@ def score_toxicity(docs: DataFrame, lexicon: Lexicon, id_col: str = "doc_id", te
         if len(out):
             yield out.take()
 
-    scored = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "id long, toxicity double")
+    scored = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "id long, toxicity double")
     return scored.select(F.col("id").cast(id_type).alias("id"), "toxicity")
 
 
@@ -286,9 +286,9 @@ def drop_toxic(docs: DataFrame, lexicon: Lexicon, threshold: float = 0.3, text_c
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield b.filter(pa.array([lexicon.score(t) < threshold for t in b.column(b.schema.get_field_index(text_col)).to_pylist()], pa.bool_()))
+            yield b.filter(pa.array([lexicon.score(t) < threshold for (t,) in arrow_rows([b], text_col)], pa.bool_()))
 
-    return docs.mapInArrow(keep, docs.schema)
+    return docs.mapInArrow(tidy(keep), docs.schema)
 
 
 def held_out(c: Column, modulus: int, rest: int) -> Column:

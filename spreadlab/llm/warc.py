@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spreadlab.llm.common import RowBuffer, arrow_rows, open_fs, table
+from spreadlab.llm.common import RowBuffer, arrow_rows, open_fs, table, tidy
 from spreadlab.storage import materialize, scratch_path
 
 CHUNK = 256 << 10
@@ -138,7 +138,7 @@ def write_archives(pages: DataFrame, least: int = 100, id_col: str = "page_id",
             sink.close()
             yield pa.RecordBatch.from_pydict({"path": [f"{folder}/{path}"], "records": [records], "bytes": [size]}, schema)
 
-    return materialize(marked.mapInArrow(write, "path string, records long, bytes long"), "warc-files")
+    return materialize(marked.mapInArrow(tidy(write), "path string, records long, bytes long"), "warc-files")
 
 
 def read_archives(files: DataFrame, with_payload: bool = False) -> DataFrame:
@@ -158,7 +158,7 @@ def read_archives(files: DataFrame, with_payload: bool = False) -> DataFrame:
             yield out.take()
 
     spread = files.select("path").repartition(max(1, int(files.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    found = spread.mapInArrow(read, "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary")
+    found = spread.mapInArrow(tidy(read), "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary")
     return found if with_payload else found.drop("payload")
 
 

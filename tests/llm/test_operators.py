@@ -1,6 +1,8 @@
 """The training-data operators against brute force, round trips and their defined cases."""
 
+import math
 import random
+import zlib
 
 import numpy as np
 import pytest
@@ -32,11 +34,13 @@ def test_words_and_shingles():
 def test_segments_encode_like_whole_texts():
     import public_tokenizers
 
-    e = token_frames.encoder(public_tokenizers.path("byte_bpe_50k.json"))
+    from tokenizers import Tokenizer
+
+    e, plain = token_frames.encoder(public_tokenizers.path("byte_bpe_50k.json")), Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
     rng = random.Random(0)
     parts = [" ", "  ", "a", "Word", "don't", "\n", "\t", "é", "ß.", "1", "###", "'s", "\u3000", "\x1c", "\x85", "😀", "<|endoftext|>", "|", ".\nThe"]
     for text in ["", " ", "a  b", *("".join(rng.choice(parts) for _ in range(25)) for _ in range(1500))]:
-        assert e.encode(text) == np.asarray(e.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes(), repr(text)
+        assert e.encode(text) == np.asarray(plain.encode(text, add_special_tokens=False).ids, "<u4").tobytes(), repr(text)
 
 
 def test_token_files_round_trip(spark):
@@ -44,19 +48,32 @@ def test_token_files_round_trip(spark):
     from tokenizers import Tokenizer
 
     rng = random.Random(1)
-    texts = ["NULL", "", "same", "NOID", *(prose(rng, rng.randrange(1, 4000)) for _ in range(40))]
+    texts = ["NULL", "", "same", "NOID", "a <|endoftext|> b", *(prose(rng, rng.randrange(1, 4000)) for _ in range(40))]
     table = docs(spark, texts).unionByName(docs(spark, ["same"], 2))
     got = token_frames.token_digest(table.repartition(5)).collect()
     t = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
     rows = sorted(((r.doc_id, r.text or "") for r in table.collect()), key=lambda x: (x[0] is not None, x[0] or 0, x[1]))
     start, want = 0, []
     for doc_id, text in rows:
         ids = t.encode(text, add_special_tokens=False).ids + [2]
-        want.append((doc_id, start, len(ids), token_frames.crc_of(ids)))
+        want.append((doc_id, start, len(ids), zlib.crc32(np.asarray(ids, "<u4").tobytes())))
         start += len(ids)
     assert sorted(map(tuple, got), key=lambda r: r[1]) == want
     assert token_frames.token_digest(table.limit(0)).count() == 0
+    # some documents of a written corpus, by their rows of the index alone
+    files, index = token_frames.write_token_files(table.repartition(5), public_tokenizers.path("byte_bpe_50k.json"))
+    some = token_frames.read_token_files(files, index.filter("id % 10 = 3")).collect()
+    assert sorted((r.id, r.start, r.n_tokens, zlib.crc32(r.ids)) for r in some) == [w for w in want if w[0] is not None and w[0] % 10 == 3]
+
+
+def test_memo_is_bounded_by_bytes(monkeypatch):
+    import public_tokenizers
+
+    e = token_frames.SegmentEncoder(public_tokenizers.path("byte_bpe_50k.json"))
+    monkeypatch.setattr(token_frames, "MEMO_BYTES", 20_000)
+    texts = [prose(random.Random(i), 300) for i in range(8)]
+    first = [e.encode(t) for t in texts]
+    assert len(e) + len(e.old) < 300 and [e.encode(t) for t in texts] == first
 
 
 def test_broken_frame_is_noticed(tmp_path):
@@ -191,6 +208,40 @@ def test_split_quota_is_exact():
     assert mixing.split_quota(np.array([10**12, 10**12]), 10**12, 1).sum() == 10**12
 
 
+@pytest.mark.parametrize(("left", "right", "draws"), [(400, 900, 500), (900, 400, 1000), (30, 5000, 700), (5000, 5000, 9000), (3, 5000, 2000)])
+def test_large_sampler_has_the_exact_distribution(left, right, draws):
+    """Both samplers against the probabilities; the large one is used from NUMPY_LIMIT on."""
+    rng, n = np.random.default_rng(7), 6000
+    got = np.array([mixing.ratio_of_uniforms(rng, left, right, draws) for _ in range(n)])
+    low, high = max(0, draws - right), min(draws, left)
+    log = lambda a, b: math.lgamma(a + 1) - math.lgamma(b + 1) - math.lgamma(a - b + 1)
+    p = np.exp([log(left, k) + log(right, draws - k) - log(left + right, draws) for k in range(low, high + 1)])
+    cuts = np.searchsorted(np.cumsum(p), [0.2, 0.4, 0.6, 0.8]) + low
+    want = np.diff([0, *(np.cumsum(p)[cuts - low]), 1])
+    seen = np.diff([0, *((got <= c).sum() for c in cuts), n])
+    some = want > 1e-9
+    assert got.min() >= low and got.max() <= high
+    assert ((seen[some] - n * want[some]) ** 2 / (n * want[some])).sum() < 25
+
+
+def test_sampler_beyond_the_library(monkeypatch):
+    rng, (left, right, draws) = np.random.default_rng(8), (6 * 10**12, 4 * 10**12, 5 * 10**12)
+    got = np.array([mixing.hypergeometric(rng, left, right, draws) for _ in range(2000)], float)
+    deviation = (draws * 0.6 * 0.4 * 0.5) ** 0.5
+    assert abs(got.mean() - 3 * 10**12) < 4 * deviation / 2000**0.5 and got.std() == pytest.approx(deviation, rel=0.07)
+    assert mixing.log_factorial_step(5000, 300) == pytest.approx(math.lgamma(5301) - math.lgamma(5001), abs=1e-9)
+    assert mixing.log_factorial_step(5000, -300) == pytest.approx(math.lgamma(4701) - math.lgamma(5001), abs=1e-9)
+
+
+def test_mix_under_clashing_names(spark):
+    rng = random.Random(9)
+    rows = [(i, prose(rng, 900), f"s{i % 2}", 1, "x", [i], 2, 0.5) for i in range(30)]
+    table = spark.createDataFrame(rows, "doc_id long, text string, source string, key int, _id string, pieces array<int>, `a.b` int, passes double")
+    mixed = mixing.mix_documents(table)
+    assert mixed.columns == table.columns
+    assert {(r.doc_id, r._id, tuple(r.pieces), r.passes) for r in mixed.collect()} <= {(i, "x", (i,), 0.5) for i in range(30)}
+
+
 def test_mix_meets_targets(spark):
     rng = random.Random(7)
     table = docs(spark, ["NULL", "", "NOID", *(prose(rng, rng.randrange(1, 1500)) for _ in range(200))])
