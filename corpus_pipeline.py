@@ -1,7 +1,14 @@
 """Corpus pipeline: toxicity, near duplicates, benchmark decontamination, source mixing, token files.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame, written as Parquet and read again as
-the next stage's docs. All but the last return the columns of documents.
+the next stage's docs. All but the last return the columns of documents. What a finished stage wrote
+besides its result is deleted, and its result once the next stage's is there.
+
+Defined cases, in every stage: a null text counts as an empty one, which is neither toxic by a hit nor
+like any other, holds no benchmark item, takes no words in the mix and so ends there; a null doc_id is
+kept and never a copy of another row; rows that repeat a doc_id are one document for the near-duplicate
+stage and rows of their own before it; ties go to the smaller doc_id; other columns than those of
+documents are carried along; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -13,7 +20,7 @@ from spreadlab.llm.jaccard import keep_one_each
 from spreadlab.llm.mixing import mix_documents
 from spreadlab.llm.token_frames import token_digest
 from spreadlab.llm.toxicity import drop_toxic, fit_for
-from spreadlab.storage import materialize
+from spreadlab.storage import discard, materialize, scratch_scope
 
 
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -57,5 +64,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over ``documents``."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        with scratch_scope(spark) as made:
+            kept = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+            made.remove(kept._scratch)
+        discard(docs)
+        docs = kept
     return STAGES[-1][1](spark, docs, sf_dir)

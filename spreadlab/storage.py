@@ -11,32 +11,76 @@ import shutil
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
+from pyspark import SparkContext
 from pyspark.sql import DataFrame, SparkSession
 
 _own_root: str | None = None
+_scopes: list[list[str]] = []
+_left: list[str] = []
+
+
+@atexit.register
+def _clean() -> None:
+    """Delete what this driver left below the shared root, if its session still lives."""
+    sc = SparkContext._active_spark_context
+    if sc is None or sc._jsc is None:
+        return
+    for path in _left:
+        target = sc._jvm.org.apache.hadoop.fs.Path(path)
+        target.getFileSystem(sc._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def _hadoop_path(spark: SparkSession, path: str):
+    """(Hadoop path, its file system)."""
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target, target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
 
 
 def shared_root(spark: SparkSession) -> str:
-    """Folder (a URI where the cluster gives one) that the driver and all executors can reach."""
+    """Folder that the driver and all executors can reach, as a URI with its scheme.
+
+    A folder named without a scheme lies on the cluster's default file system, for Spark's writers and
+    for code on executors alike.
+    """
     global _own_root
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if current.isDefined():
-        return current.get().rstrip("/")
-    if _own_root is None:
-        _own_root = tempfile.mkdtemp(prefix="spreadlab-")
-        atexit.register(shutil.rmtree, _own_root, True)
-    spark.sparkContext.setCheckpointDir(_own_root)
-    return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
+    if not named and current.isDefined():
+        named = current.get()
+    if not named:
+        if _own_root is None:
+            _own_root = tempfile.mkdtemp(prefix="spreadlab-")
+            atexit.register(shutil.rmtree, _own_root, True)
+        spark.sparkContext.setCheckpointDir(_own_root)
+        named = spark.sparkContext._jsc.sc().getCheckpointDir().get()
+    target, fs = _hadoop_path(spark, named)
+    return fs.makeQualified(target).toString().rstrip("/")
 
 
 def scratch_path(spark: SparkSession, label: str) -> str:
     """A fresh folder name below the shared root."""
-    return f"{shared_root(spark)}/spreadlab-{label}-{uuid.uuid4().hex}"
+    path = f"{shared_root(spark)}/spreadlab-{label}-{uuid.uuid4().hex}"
+    _left.append(path)
+    for scope in _scopes:
+        scope.append(path)
+    return path
+
+
+@contextmanager
+def scratch_scope(spark: SparkSession) -> Iterator[list[str]]:
+    """Deletes at its end the scratch folders made within, but for those taken off the list that it gives."""
+    made: list[str] = []
+    _scopes.append(made)
+    try:
+        yield made
+    finally:
+        _scopes.remove(made)
+        for path in made:
+            drop_scratch(spark, path)
 
 
 def materialize(df: DataFrame, label: str) -> DataFrame:
@@ -44,13 +88,24 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch_path(spark, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
 
 
-def truncate_lineage(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint for the small frames of iterative plans."""
-    shared_root(df.sparkSession)
-    return df.checkpoint(eager=True)
+def discard(*frames: DataFrame | None) -> None:
+    """Delete the tables of materialized frames that nothing reads any more."""
+    for df in frames:
+        if df is not None and (path := getattr(df, "_scratch", None)):
+            drop_scratch(df.sparkSession, path)
+
+
+def drop_scratch(spark: SparkSession, path: str) -> None:
+    """Delete a scratch folder through Spark's file system layer."""
+    target, fs = _hadoop_path(spark, path)
+    fs.delete(target, True)
+    if path in _left:
+        _left.remove(path)
 
 
 def ship_package(spark: SparkSession) -> None:
@@ -68,9 +123,3 @@ def ship_package(spark: SparkSession) -> None:
     sc.addPyFile(str(archive))
     sc._spreadlab_sent = True
 
-
-def drop_scratch(spark: SparkSession, path: str) -> None:
-    """Delete a scratch folder through Spark's file system layer."""
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
