@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from spreadlab import oracle as O  # noqa: N812
@@ -16,7 +16,7 @@ from spreadlab.operators.reach import closure, frontier, packed, spread_of
 from spreadlab.operators.strata import selected, strata
 from spreadlab.operators.tree import root_draws
 from spreadlab.plans import workloads
-from spreadlab.plans.estimators import ESTIMATORS, SampleSpec, estimate
+from spreadlab.plans.estimators import ESTIMATORS, SampleSpec, estimate, estimate_sets
 from spreadlab.sources import graphs as G  # noqa: N812
 from spreadlab.storage import materialize
 from spreadlab.streaming import feed
@@ -102,15 +102,15 @@ def seeds_random(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 # --- exact values -----------------------------------------------------------------------------------
-TOP = 12
+REGION_EDGES = 20  # five regions, every ordered pair of which trades
 
 
-def region_top(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All edges between regions (five regions have 20 at most), uniform probabilities; the SQL takes the TOP heaviest only."""
+def region_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All edges between regions, uniform probabilities."""
     return materialize(G.uniform(G.with_edge_ids(G.region(spark, sf_dir))), "region")
 
 
-REGION_TOP = f"SELECT edge_id, src, dst, w, {coin_sql('11', 'edge_id')} AS p FROM (SELECT row_number() OVER (ORDER BY src, dst) - 1 AS edge_id, * FROM ({O.GRAPHS['region']})) ORDER BY w DESC, src, dst LIMIT {TOP}"
+REGION = f"SELECT edge_id, src, dst, w, {coin_sql('11', 'edge_id')} AS p FROM (SELECT row_number() OVER (ORDER BY src, dst) - 1 AS edge_id, * FROM ({O.GRAPHS['region']}))"
 
 
 def region_seed(top: DataFrame) -> int:
@@ -121,9 +121,9 @@ def region_seed(top: DataFrame) -> int:
 HEAVIEST = "(SELECT src FROM edges ORDER BY w DESC, src, dst LIMIT 1)"
 
 
-@query("world_probability", f"WITH RECURSIVE {O.worlds_sql(REGION_TOP, HEAVIEST, TOP)} SELECT world, round(pr, 12) AS pr, f FROM w")
+@query("world_probability", f"WITH RECURSIVE {O.worlds_sql(REGION, HEAVIEST, REGION_EDGES)} SELECT world, round(pr, 12) AS pr, f FROM w")
 def world_probability(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return exact.worlds(spark, top := region_top(spark, sf_dir), region_seed(top)).withColumn("pr", F.round("pr", 12))
+    return exact.worlds(spark, top := region_edges(spark, sf_dir), region_seed(top)).withColumn("pr", F.round("pr", 12))
 
 
 _SUMS = "round(sum(pr * f), 9) AS spread, round(sum(pr * f * f) - sum(pr * f) * sum(pr * f), 9) AS variance, round(sum(pr), 9) AS total_probability"
@@ -138,9 +138,9 @@ def exact_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(exact.by_bits(spark, G.example(spark), 5))
 
 
-@query("exact_region", f"WITH RECURSIVE {O.worlds_sql(REGION_TOP, HEAVIEST, TOP)} SELECT {_SUMS} FROM w")
+@query("exact_region", f"WITH RECURSIVE {O.worlds_sql(REGION, HEAVIEST, REGION_EDGES)} SELECT {_SUMS} FROM w")
 def exact_region(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(exact.by_bits(spark, top := region_top(spark, sf_dir), region_seed(top)))
+    return _rounded(exact.by_bits(spark, top := region_edges(spark, sf_dir), region_seed(top)))
 
 
 @query("exact_divide_conquer", f"WITH RECURSIVE {O.worlds_sql(O.EXAMPLE_SQL, 5, 10)} SELECT r::INTEGER AS r, round(sum(pr * f), 9) AS spread FROM w, range(1, 6) t(r) GROUP BY 1")
@@ -149,9 +149,9 @@ def exact_divide_conquer(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionByName, [exact.divide(spark, e, 5, r).select(F.lit(r).alias("r"), F.round("spread", 9).alias("spread")) for r in range(1, 6)])
 
 
-@query("exact_variance", f"WITH RECURSIVE {O.worlds_sql(REGION_TOP, HEAVIEST, TOP)} SELECT n::INTEGER AS n, round((sum(pr * f * f) - sum(pr * f) * sum(pr * f)) / n, 12) AS variance FROM w, (VALUES (100), (1000)) t(n) GROUP BY n")
+@query("exact_variance", f"WITH RECURSIVE {O.worlds_sql(REGION, HEAVIEST, REGION_EDGES)} SELECT n::INTEGER AS n, round((sum(pr * f * f) - sum(pr * f) * sum(pr * f)) / n, 12) AS variance FROM w, (VALUES (100), (1000)) t(n) GROUP BY n")
 def exact_variance(spark: SparkSession, sf_dir: str) -> DataFrame:
-    one = exact.by_bits(spark, top := region_top(spark, sf_dir), region_seed(top))
+    one = exact.by_bits(spark, top := region_edges(spark, sf_dir), region_seed(top))
     return one.select(F.explode(F.array(F.lit(100), F.lit(1000))).alias("n"), "variance").withColumn("variance", F.round(F.col("variance") / F.col("n"), 12))
 
 
@@ -162,13 +162,13 @@ def conditional_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _gap_sql(stratum: str) -> str:
-    return f"""WITH RECURSIVE {O.worlds_sql(REGION_TOP, HEAVIEST, TOP)}, s AS (SELECT {stratum} AS stratum, sum(pr) AS pi, sum(pr * f) / sum(pr) AS mu, sum(pr * f * f) / sum(pr) AS sq FROM w GROUP BY 1)
+    return f"""WITH RECURSIVE {O.worlds_sql(REGION, HEAVIEST, REGION_EDGES)}, s AS (SELECT {stratum} AS stratum, sum(pr) AS pi, sum(pr * f) / sum(pr) AS mu, sum(pr * f * f) / sum(pr) AS sq FROM w GROUP BY 1)
     SELECT round((sum(pi * sq) - sum(pi * mu) ** 2) / 1000, 12) AS naive, round(sum(pi * (sq - mu * mu)) / 1000, 12) AS basic, round((sum(pi * mu * mu) - sum(pi * mu) ** 2) / 1000, 12) AS gap FROM s"""
 
 
 def _gap(scheme: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return exact.variance_parts(spark, top := region_top(spark, sf_dir), region_seed(top), scheme, [0, 1, 2], 1000).select(*(F.round(c, 12).alias(c) for c in ("naive", "basic", "gap")))
+        return exact.variance_parts(spark, top := region_edges(spark, sf_dir), region_seed(top), scheme, [0, 1, 2], 1000).select(*(F.round(c, 12).alias(c) for c in ("naive", "basic", "gap")))
 
     return run
 
@@ -177,11 +177,11 @@ query("variance_gap_cube", _gap_sql("world & 7"))(_gap("cube"))
 query("variance_gap_stair", _gap_sql("CASE WHEN world & 1 = 1 THEN 1 WHEN world & 2 = 2 THEN 2 WHEN world & 4 = 4 THEN 3 ELSE 0 END"))(_gap("staircase"))
 
 
-@query("recursive_gap", f"""WITH RECURSIVE {O.worlds_sql(REGION_TOP, HEAVIEST, TOP)}, s AS (SELECT world & 7 AS a, (world >> 3) & 7 AS b, sum(pr) AS pi, sum(pr * f) / sum(pr) AS mu FROM w GROUP BY 1, 2)
+@query("recursive_gap", f"""WITH RECURSIVE {O.worlds_sql(REGION, HEAVIEST, REGION_EDGES)}, s AS (SELECT world & 7 AS a, (world >> 3) & 7 AS b, sum(pr) AS pi, sum(pr * f) / sum(pr) AS mu FROM w GROUP BY 1, 2)
     SELECT a AS stratum, round(sum(pi * mu * mu) / sum(pi) - (sum(pi * mu) / sum(pi)) ** 2, 9) AS inner_gap FROM s GROUP BY 1""")
 def recursive_gap(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What splitting each cube stratum again by the next three edges takes off its variance."""
-    w = exact.worlds(spark, top := region_top(spark, sf_dir), region_seed(top)).withColumn("stratum", exact.stratum_of("cube", [0, 1, 2], F.col("world"))).withColumn("b", exact.stratum_of("cube", [3, 4, 5], F.col("world")))
+    w = exact.worlds(spark, top := region_edges(spark, sf_dir), region_seed(top)).withColumn("stratum", exact.stratum_of("cube", [0, 1, 2], F.col("world"))).withColumn("b", exact.stratum_of("cube", [3, 4, 5], F.col("world")))
     s = w.groupBy("stratum", "b").agg(F.sum("pr").alias("pi"), (F.sum(F.col("pr") * F.col("f")) / F.sum("pr")).alias("mu"))
     mean = F.sum(F.col("pi") * F.col("mu")) / F.sum("pi")
     return s.groupBy("stratum").agg(F.round(F.sum(F.col("pi") * F.col("mu") * F.col("mu")) / F.sum("pi") - mean * mean, 9).alias("inner_gap"))
@@ -230,10 +230,10 @@ def alloc_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     return alloc.grid(first_strata(spark, sf_dir, "cube", 5), 1000, 3, 7)
 
 
-@query("alloc_optimal", f"""WITH RECURSIVE {O.worlds_sql(REGION_TOP, HEAVIEST, TOP)}, s AS (SELECT world & 7 AS child, sum(pr) AS pi, greatest(0, round(sum(pr * f * f) / sum(pr) - (sum(pr * f) / sum(pr)) ** 2, 9)) AS variance FROM w GROUP BY 1)
+@query("alloc_optimal", f"""WITH RECURSIVE {O.worlds_sql(REGION, HEAVIEST, REGION_EDGES)}, s AS (SELECT world & 7 AS child, sum(pr) AS pi, greatest(0, round(sum(pr * f * f) / sum(pr) - (sum(pr * f) / sum(pr)) ** 2, 9)) AS variance FROM w GROUP BY 1)
     SELECT child, round(1000 * pi * sqrt(variance) / sum(pi * sqrt(variance)) OVER (), 4) AS n FROM s""")
 def alloc_optimal(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = exact.worlds(spark, top := region_top(spark, sf_dir), region_seed(top)).withColumn("child", exact.stratum_of("cube", [0, 1, 2], F.col("world")))
+    w = exact.worlds(spark, top := region_edges(spark, sf_dir), region_seed(top)).withColumn("child", exact.stratum_of("cube", [0, 1, 2], F.col("world")))
     mean = lambda c: F.sum(F.col("pr") * c) / F.sum("pr")
     s = w.groupBy("child").agg(F.sum("pr").alias("pi"), F.greatest(F.lit(0.0), F.round(mean(F.col("f") * F.col("f")) - mean(F.col("f")) * mean(F.col("f")), 9)).alias("variance"))
     return alloc.optimal(s, 1000).select("child", F.round("n", 4).alias("n"))
@@ -278,9 +278,8 @@ _STEPS = coin_sql("7", "0", "r.draw", "e.edge_id")
 
 
 @query("cascade_steps", f"""WITH RECURSIVE edges AS MATERIALIZED ({MESSAGE}), seeds AS MATERIALIZED ({ONE_SEED}),
-    live AS MATERIALIZED (SELECT draw, src, dst FROM edges e, range(16) r(draw) WHERE {_STEPS} < e.p),
-    step AS (SELECT draw, seed AS node, 0 AS step FROM seeds, range(16) r(draw) UNION SELECT s.draw, l.dst, s.step + 1 FROM step s JOIN live l ON l.draw = s.draw AND l.src = s.node WHERE s.step < 3)
-    SELECT draw, node, min(step)::INTEGER AS step FROM step GROUP BY 1, 2""")
+    {O.steps_sql(f"SELECT draw, src, dst FROM edges e, range(16) r(draw) WHERE {_STEPS} < e.p", "SELECT seed FROM seeds", 16)}
+    SELECT draw, node, step::INTEGER AS step FROM d""")
 def cascade_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Independent cascade by time step, to its end: the step of a node is its hop in the live graph."""
     e = message_edges(spark, sf_dir)
@@ -374,7 +373,7 @@ def spread_closed_bipartite(spark: SparkSession, sf_dir: str) -> DataFrame:
     return G.exponential(G.trade(spark, sf_dir)).groupBy(F.col("src").alias("seed")).agg(F.round(F.sum("p"), 6).alias("spread"))
 
 
-@query("spread_closed_tree", f"WITH e AS (SELECT src, dst, {coin_sql('11', 'src', 'dst')} AS p FROM ({O.GRAPHS['hierarchy']})) SELECT a.src AS seed, round(sum(own_p) + sum(through), 6) AS spread FROM (SELECT a.src, a.dst, any_value(a.p) AS own_p, coalesce(sum(a.p * b.p), 0) AS through FROM e a LEFT JOIN e b ON b.src = a.dst WHERE a.src < 1000 GROUP BY 1, 2) a GROUP BY 1")
+@query("spread_closed_tree", f"WITH e AS (SELECT src, dst, {coin_sql('11', 'src', 'dst')} AS p FROM ({O.GRAPHS['hierarchy']})) SELECT a.src AS seed, round(sum(own_p) + sum(through), 6) AS spread FROM (SELECT a.src, a.dst, any_value(a.p) AS own_p, coalesce(sum(a.p * b.p), 0) AS through FROM e a LEFT JOIN e b ON b.src = a.dst GROUP BY 1, 2) a GROUP BY 1")
 def spread_closed_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Trees: the sum over nodes of the product along the path; every inner node is a seed."""
     e = G.hierarchy(spark, sf_dir).withColumn("p", coin(11, F.col("src"), F.col("dst")))
@@ -391,18 +390,16 @@ def spread_closed_path(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # --- other target functions -------------------------------------------------------------------------
 _HOPS = f"""edges AS MATERIALIZED ({O.edges_sql('repost', 1.0)}), seeds AS MATERIALIZED (SELECT src AS seed FROM edges GROUP BY 1 ORDER BY count(*) DESC, src LIMIT 1), tg AS (SELECT dst AS t FROM edges WHERE src = (SELECT seed FROM seeds) ORDER BY dst LIMIT 2),
-    live AS MATERIALIZED (SELECT draw, src, dst FROM edges e, range({N}) r(draw) WHERE {_STEPS} < e.p),
-    step AS (SELECT draw, seed AS node, 0 AS hop FROM seeds, range({N}) r(draw) UNION SELECT s.draw, l.dst, s.hop + 1 FROM step s JOIN live l ON l.draw = s.draw AND l.src = s.node WHERE s.hop < 40),
-    d AS (SELECT draw, node, min(hop) AS hop FROM step GROUP BY 1, 2)"""
+    {O.steps_sql(f"SELECT draw, src, dst FROM edges e, range({N}) r(draw) WHERE {_STEPS} < e.p", "SELECT seed FROM seeds", N)}"""
 
 
-def _target(statistic: Callable[[list[int]], tuple]):
+def _target(statistic: Callable[[list[int]], tuple], engine: str = "auto"):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         e = G.prepare(G.repost(spark, sf_dir), 1.0)
         seed = e.groupBy("src").count().orderBy(F.desc("count"), "src").limit(1).collect()[0].src
         targets = [r.dst for r in e.filter(F.col("src") == seed).orderBy("dst").limit(2).collect()]
         s = spark.createDataFrame([(seed,)], "seed long")
-        out = estimate(e, s, "naive", spec=SampleSpec(n=N, coin="md5"), statistic=statistic(targets))
+        out = estimate(e, s, "naive", spec=SampleSpec(n=N, coin="md5", engine=engine), statistic=statistic(targets))
         return out.select("seed", F.round("f_hat", 9).alias("f_hat"))
 
     return run
@@ -410,8 +407,8 @@ def _target(statistic: Callable[[list[int]], tuple]):
 
 _SEED = "(SELECT seed FROM seeds) AS seed"
 query("reach_target", f"WITH RECURSIVE {_HOPS} SELECT {_SEED}, round(count(*) / {N}.0, 9) AS f_hat FROM d WHERE node = (SELECT max(t) FROM tg)")(_target(lambda t: ("reaches", t[-1])))
-query("reach_within", f"WITH RECURSIVE {_HOPS} SELECT {_SEED}, round(count(*) / {N}.0, 9) AS f_hat FROM d WHERE node = (SELECT max(t) FROM tg) AND hop <= 2")(_target(lambda t: ("reaches_within", t[-1], 2)))
-query("distance_target", f"WITH RECURSIVE {_HOPS} SELECT {_SEED}, round((sum(hop) + 10 * ({N} - count(*))) / {N}.0, 9) AS f_hat FROM d WHERE node = (SELECT max(t) FROM tg)")(_target(lambda t: ("distance", t[-1], 10)))
+query("reach_within", f"WITH RECURSIVE {_HOPS} SELECT {_SEED}, round(count(*) / {N}.0, 9) AS f_hat FROM d WHERE node = (SELECT max(t) FROM tg) AND step <= 2")(_target(lambda t: ("reaches_within", t[-1], 2)))
+query("distance_target", f"WITH RECURSIVE {_HOPS} SELECT {_SEED}, round((sum(step) + 10 * ({N} - count(*))) / {N}.0, 9) AS f_hat FROM d WHERE node = (SELECT max(t) FROM tg)")(_target(lambda t: ("distance", t[-1], 10)))
 query("connects_terminals", f"WITH RECURSIVE {_HOPS}, c AS (SELECT draw FROM d WHERE node IN (SELECT t FROM tg) GROUP BY 1 HAVING count(*) = (SELECT count(*) FROM tg)) SELECT {_SEED}, round(count(*) / {N}.0, 9) AS f_hat FROM c")(_target(lambda t: ("connects", tuple(t))))
 
 
@@ -427,38 +424,159 @@ def accuracy_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return example_estimates(spark).rollup("estimator", "seed").agg(F.round(F.avg("f_hat"), 9).alias("f_hat"), F.count(F.lit(1)).alias("runs"))
 
 
-def _workload(build: Callable[[SparkSession, str], DataFrame], mean: float, seeds: int = 5, reps: int = 20, n: int = 200):
+def _measured(df: DataFrame) -> DataFrame:
+    return df.withColumns({c: F.round(c, 6) for c in ("mean_of_ratios", "ratio_of_means", "reduction") if c in df.columns})
+
+
+def _sql_edges(graph: str, mean: float | None) -> str:
+    if mean is not None:
+        return O.edges_sql(graph, mean)
+    return f"SELECT edge_id, src, dst, w, {coin_sql('11', 'edge_id')} AS p FROM (SELECT row_number() OVER (ORDER BY src, dst) - 1 AS edge_id, src, dst, w FROM ({graph}))"
+
+
+_RELATIVE = "estimator, round(mean_of_ratios, 6) AS mean_of_ratios, round(ratio_of_means, 6) AS ratio_of_means, seeds, excluded"
+_REDUCTION = f"SELECT {_RELATIVE}, round(100 * ((SELECT mean_of_ratios FROM rel WHERE estimator = 'single_edge_recursive') / mean_of_ratios - 1), 6) AS reduction FROM rel"
+
+
+def accuracy(name: str, build: Callable[[SparkSession, str], DataFrame], graph: str, mean: float | None, seeds: int, reps: int, n: int, **options) -> None:
+    """A table of all estimators' relative variances on a graph (mean None: uniform probabilities), with its SQL."""
+
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        e = G.prepare(build(spark, sf_dir), mean)
-        return workloads.accuracy_table(e, G.random_seeds(e, seeds), SampleSpec(n=n, reps=reps))
+        e = G.with_edge_ids(build(spark, sf_dir))
+        e = materialize(G.uniform(e) if mean is None else G.exponential(e, mean), "edges")
+        return _measured(workloads.accuracy_table(e, G.random_seeds(e, seeds), SampleSpec(n=n, reps=reps, coin="md5")))
+
+    estimates = O.estimates_sql(_sql_edges(graph, mean), seeds, ESTIMATORS, n, reps, **options)
+    query(name, f"WITH {O.relative_sql(estimates)} {_REDUCTION}")(run)
+
+
+# Sizes that DuckDB and md5 coins can check; bench.py runs the full settings, the README has its tables.
+accuracy("workload_er", lambda s, d: G.er(s, 1500, 3000), O.er_sql(1500, 3000), None, 3, 8, 100, levels=40, most_cursor=800)
+accuracy("workload_message", G.message, "message", 20.0, 3, 8, 100, most_cursor=800)
+accuracy("workload_coorder", G.coorder, "coorder", 2.0, 3, 8, 100, levels=24, most_cursor=800)
+accuracy("workload_supplier_week", G.supplier_week, "supplier_week", 400.0, 2, 6, 60, levels=16, most_cursor=1200)
+accuracy("workload_coorder_full", lambda s, d: G.coorder(s, d, 1), "coorder_full", 150.0, 2, 6, 60, levels=40, most_cursor=1200)
+
+
+def _swept(values: dict[str, list], spec_of, graph: Callable[[SparkSession, str], DataFrame], seeds: int):
+    """Sweep of one parameter: (parameter, estimator, relative variance) rows, in md5 coins."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e = G.prepare(graph(spark, sf_dir))
+        s = G.random_seeds(e, seeds)
+        return _measured(reduce(DataFrame.unionByName, [part for scheme, some in values.items() for part in spec_of(e, s, scheme, some)]))
 
     return run
 
 
-query("workload_er")(lambda s, d: workloads.accuracy_table(e := G.uniform(G.with_edge_ids(G.er(s, 1500, 3000))), G.random_seeds(e, 5), SampleSpec(n=200, reps=20)))
-query("workload_message")(_workload(G.message, 20.0))
-query("workload_coorder")(_workload(G.coorder, 2.0))
-query("workload_supplier_week")(_workload(G.supplier_week, 200.0, 3, 8, 100))
+def _own(scheme: str) -> dict[str, tuple]:
+    return {m: v for m, v in ESTIMATORS.items() if v[0] == scheme and m != "single_edge_recursive"}
+
+
+R_VALUES = {"cube": [1, 2, 3, 5, 10], "staircase": [10, 20, 30, 50, 70]}
+N_VALUES = [200, 500, 1000, 2000, 5000]
+R_SPEC = SampleSpec(n=40, reps=5, coin="md5")
+NAIVE_METHOD = {"naive": ESTIMATORS["naive"]}
+
+
+def _r_sql(scheme: str, r: int) -> str:
+    methods = NAIVE_METHOD | {m: (v[0], v[1], v[2], r) for m, v in _own(scheme).items()}
+    return f"SELECT {r} AS r, {_RELATIVE} FROM (WITH {O.relative_sql(O.estimates_sql(O.edges_sql('coorder'), 2, methods, R_SPEC.n, R_SPEC.reps, levels=24, most_cursor=800))} SELECT * FROM rel)"
+
+
+query("workload_effect_of_r", " UNION ALL ".join(_r_sql(scheme, r) for scheme, some in R_VALUES.items() for r in some))(_swept(R_VALUES, lambda e, s, scheme, some: [workloads.effect_of_r(e, s, scheme, some, R_SPEC)], G.coorder, 2))
+
+
+def _n_sql(n: int) -> str:
+    methods = NAIVE_METHOD | {m: ESTIMATORS[m] for m in ("cube_recursive_bfs", "stair_recursive_bfs")}
+    return f"SELECT {n} AS n, {_RELATIVE} FROM (WITH {O.relative_sql(O.estimates_sql(O.edges_sql('coorder'), 2, methods, n, 4, levels=24, most_cursor=1600))} SELECT * FROM rel)"
+
 
+query("workload_effect_of_n", " UNION ALL ".join(map(_n_sql, N_VALUES)))(_swept({"": N_VALUES}, lambda e, s, _, some: [workloads.effect_of_n(e, s, some, 4, coin="md5")], G.coorder, 2))
 
-@query("workload_effect_of_r")
-def effect_of_r(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = G.prepare(G.coorder(spark, sf_dir))
-    s = G.random_seeds(e, 5)
-    spec = SampleSpec(n=200, reps=20)
-    return workloads.effect_of_r(e, s, "cube", [1, 2, 3, 5, 10], spec).unionByName(workloads.effect_of_r(e, s, "staircase", [10, 20, 30, 50, 70], spec))
 
+@query("ablation_selector", f"""WITH {O.relative_sql(O.estimates_sql(O.edges_sql('message', 20.0), 3, ESTIMATORS, 60, 6, most_cursor=800))}
+    SELECT replace(a.estimator, '_bfs', '') AS family, round(a.mean_of_ratios / b.mean_of_ratios, 6) AS bfs_over_random FROM rel a JOIN rel b ON b.estimator = replace(a.estimator, '_bfs', '_random') WHERE contains(a.estimator, '_bfs')""")
+def ablation_selector(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Breadth-first against random choice of edges: ratio of the relative variances."""
+    return workloads.ablation(_message_relative(spark, sf_dir), "_bfs", "_random").select(F.col("family"), F.round("ratio", 6).alias("bfs_over_random"))
 
-@query("workload_effect_of_n")
-def effect_of_n(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = G.prepare(G.coorder(spark, sf_dir))
-    return workloads.effect_of_n(e, G.random_seeds(e, 5), [200, 500, 1000, 2000, 5000], 20)
 
+@query("ablation_recursion", f"""WITH {O.relative_sql(O.estimates_sql(O.edges_sql('message', 20.0), 3, ESTIMATORS, 60, 6, most_cursor=800))}
+    SELECT replace(a.estimator, '_recursive', '') AS family, round(a.mean_of_ratios / b.mean_of_ratios, 6) AS recursive_over_basic FROM rel a JOIN rel b ON b.estimator = replace(a.estimator, '_recursive', '_basic') WHERE contains(a.estimator, '_recursive')""")
+def ablation_recursion(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recursive against basic stratification: ratio of the relative variances."""
+    return workloads.ablation(_message_relative(spark, sf_dir), "_recursive", "_basic").select(F.col("family"), F.round("ratio", 6).alias("recursive_over_basic"))
 
-@query("work_counters")
+
+def _message_relative(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = G.prepare(G.message(spark, sf_dir), 20.0)
+    return materialize(metrics.relative_variance(workloads.estimates_of(e, G.random_seeds(e, 3), None, SampleSpec(n=60, reps=6, coin="md5"))), "relative")
+
+
+SCALES = [(2000, 8000), (4000, 13000), (6000, 16000), (8000, 32000)]
+SCALED = ["naive", "cube_basic_random", "cube_recursive_random", "stair_basic_random", "stair_recursive_random"]
+
+
+@query("workload_scalability", " UNION ALL ".join(f"SELECT {n} AS nodes, {m} AS edges, estimator, seed, rep::INTEGER AS rep, round(f_hat, 9) AS f_hat FROM ({O.estimates_sql(_sql_edges(O.er_sql(n, m), None), 1, {x: ESTIMATORS[x] for x in SCALED}, 20, 1)})" for n, m in SCALES))
+def scalability(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Estimates on random graphs of four sizes, the reference's divided by a hundred; bench.py times the full ones."""
+    parts = []
+    for n, m in SCALES:
+        e = materialize(G.uniform(G.with_edge_ids(G.er(spark, n, m))), "edges")
+        parts.append(workloads.estimates_of(e, G.random_seeds(e, 1), SCALED, SampleSpec(n=20, coin="md5")).select(F.lit(n).alias("nodes"), F.lit(m).alias("edges"), "estimator", "seed", "rep", F.round("f_hat", 9).alias("f_hat")))
+    return reduce(DataFrame.unionByName, parts)
+
+
+# --- variance, work, seed sets ---------------------------------------------------------------------
+_SCHEME, _SELECTOR, _RECURSIVE, _R = ESTIMATORS["cube_recursive_bfs"]
+_DRAWS = O.estimator_sql(MESSAGE, ONE_SEED, _SCHEME, _SELECTOR, _R, _RECURSIVE, N, REPS, draws=True)
+
+
+@query("stratified_variance", f"""WITH d AS ({_DRAWS}), m AS (SELECT rep, avg(f) AS f_hat, count(*) AS n FROM d GROUP BY 1), z AS (SELECT *, count(*) OVER (PARTITION BY rep, path) AS size FROM d),
+    l AS (SELECT rep, f, row_number() OVER (PARTITION BY rep ORDER BY path) - 1 AS nth, count(*) OVER (PARTITION BY rep) // 2 AS pairs FROM z WHERE size = 1),
+    g AS (SELECT rep, f, path AS part FROM z WHERE size > 1 UNION ALL SELECT rep, f, 'pair' || greatest(0, least(nth // 2, pairs - 1)) FROM l),
+    p AS (SELECT rep, part, count(*) AS size, var_samp(f) AS inside, avg(f) AS mean FROM g GROUP BY 1, 2)
+    SELECT (SELECT any_value(seed) FROM d) AS seed, p.rep::INTEGER AS rep, round(sum(size * coalesce(inside, (mean - f_hat) ** 2)) / any_value(n * n), 8) AS mean_variance FROM p JOIN m USING (rep) GROUP BY p.rep""")
+def stratified_variance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The plug-in estimate of a stratified mean's variance, leaf by leaf."""
+    e = message_edges(spark, sf_dir)
+    return estimate(e, G.random_seeds(e, 1), "cube_recursive_bfs", spec=CHECKED).select("seed", "rep", F.round("mean_variance", 8).alias("mean_variance"))
+
+
+@query("work_counters", f"""WITH d AS ({_DRAWS}), n AS (SELECT rep, count(DISTINCT path[1:i]) AS tree_nodes FROM (SELECT DISTINCT rep, path FROM d), LATERAL (SELECT i FROM range(length(path) + 1) t(i) WHERE i = length(path) OR path[i + 1] = '.') GROUP BY 1)
+    SELECT 'cube_recursive_bfs' AS estimator, avg(draws) AS draws, avg(coins) AS coins, avg(tree_nodes) AS tree_nodes, round(avg(mean_depth), 9) AS mean_depth
+    FROM (SELECT rep, count(*)::DOUBLE AS draws, sum(coins) AS coins, avg(length(path) - length(replace(path, '.', ''))) AS mean_depth FROM d GROUP BY 1) JOIN n USING (rep)""")
 def work_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Draws, coins thrown, tree nodes and depth of a run, averaged."""
+    e = message_edges(spark, sf_dir)
+    return metrics.counters(estimate(e, G.random_seeds(e, 1), "cube_recursive_bfs", spec=CHECKED)).withColumn("mean_depth", F.round("mean_depth", 9))
+
+
+@query("seed_set_spread", f"""WITH RECURSIVE edges AS MATERIALIZED ({MESSAGE}), members AS MATERIALIZED (SELECT (row_number() OVER (ORDER BY {coin_sql('5', 'seed')}, seed) - 1) // 3 AS set_id, seed AS node FROM ({O.seeds_sql('edges', 6)})),
+    reach AS (SELECT set_id, draw, node FROM members, range({N}) b(draw) UNION SELECT r.set_id, r.draw, e.dst FROM reach r JOIN edges e ON e.src = r.node WHERE {coin_sql('7', '0', 'r.draw', 'e.edge_id')} < e.p)
+    SELECT set_id AS seed, round(avg(f), 9) AS f_hat FROM (SELECT set_id, draw, count(*) - 3 AS f FROM reach GROUP BY 1, 2) GROUP BY 1""")
+def seed_set_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two sets of three nodes each."""
+    e = message_edges(spark, sf_dir)
+    h = Window.orderBy(coin(5, F.col("seed")), "seed")
+    members = G.random_seeds(e, 6).select(F.floor((F.row_number().over(h) - 1) / 3).alias("set_id"), F.col("seed").alias("node"))
+    return estimate_sets(e, members, "naive", spec=SampleSpec(n=N, coin="md5")).select("seed", F.round("f_hat", 9).alias("f_hat"))
+
+
+def _target_relational(statistic: Callable[[list[int]], tuple]):
+    return _target(statistic, "frontier")
+
+
+query("distance_relational", ORACLES["distance_target"])(_target_relational(lambda t: ("distance", t[-1], 10)))
+query("connects_relational", ORACLES["connects_terminals"])(_target_relational(lambda t: ("connects", tuple(t))))
+
+
+@query("naive_packed_spread", f"WITH RECURSIVE {ONE_NAIVE} SELECT seed, rep::INTEGER AS rep, round(avg(f), 9) AS f_hat FROM f GROUP BY 1, 2")
+def naive_packed_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The bit-packed engine behind ``estimate``."""
     e = message_edges(spark, sf_dir)
-    return metrics.counters(workloads.estimates_of(e, G.random_seeds(e, 2), None, SampleSpec(n=200, reps=4)))
+    return estimate(e, G.random_seeds(e, 1), "naive", spec=SampleSpec(n=64, coin="md5", engine="packed")).select("seed", "rep", F.round("f_hat", 9).alias("f_hat"))
 
 
 # --- streaming ---------------------------------------------------------------------------------------

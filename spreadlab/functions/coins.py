@@ -59,3 +59,33 @@ def mixed_coins(key: np.uint64, counters: np.ndarray) -> np.ndarray:
     """Vectorised coins of a key and counters, for the in-memory engine's large runs."""
     with np.errstate(over="ignore"):
         return (_mix(_mix(counters.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + key)) >> np.uint64(11)) / 2.0**53
+
+
+def bernoulli_words(key: np.uint64, counters: np.ndarray, p: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """uint64[counters, words]: each bit is set with the counter's probability (to 32 binary places).
+
+    The bits of 64 uniform numbers are drawn a place at a time and compared with those of p; a lane
+    is settled where they first differ, so a word takes about nine mixes and not 64.
+    """
+    target = np.ceil(p * SCALE).astype(np.uint64)
+    with np.errstate(over="ignore"):
+        base = _mix(_mix(counters.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + key)[:, None] + (words.astype(np.uint64) + np.uint64(1)) * np.uint64(0xD1B54A32D192ED03))
+        live, open_ = np.zeros_like(base), np.full_like(base, 0xFFFFFFFFFFFFFFFF)
+        sure = target > np.uint64(0xFFFFFFFF)
+        live[sure], open_[sure] = np.uint64(0xFFFFFFFFFFFFFFFF), np.uint64(0)
+        shape, live, open_, base = base.shape, live.ravel(), open_.ravel(), base.ravel()
+        target = np.repeat(target, shape[1])
+        at = None  # places still open, once they are few
+        for place in range(31, -1, -1):
+            if place < 24:
+                left = np.flatnonzero(open_) if at is None else at[open_[at] != 0]
+                if not len(left):
+                    break
+                at = left
+            some = slice(None) if at is None else at
+            want = np.uint64(0) - (target[some] >> np.uint64(place) & np.uint64(1))  # all ones where p has this bit
+            r = _mix(base[some] + np.uint64((32 - place) * 0xA0761D6478BD642F & 0xFFFFFFFFFFFFFFFF))
+            undecided = open_[some]
+            live[some] |= undecided & want & ~r
+            open_[some] = undecided & ~(r ^ want)
+    return live.reshape(shape)

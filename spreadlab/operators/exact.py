@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -22,22 +24,22 @@ def _bit(x: Column, i: Column | int) -> Column:
 
 def world_probability(p: list[float], world: Column, first: int = 0) -> Column:
     """Product over the edges of p where the world's bit is set and 1 - p elsewhere."""
-    if not p:
-        return F.lit(1.0)
-    ps = F.array(*(F.lit(float(x)) for x in p))
-    return F.aggregate(F.sequence(F.lit(0), F.lit(len(p) - 1)), F.lit(1.0), lambda acc, i: acc * F.when(_bit(world, i + first) == 1, F.get(ps, i)).otherwise(1 - F.get(ps, i)))
+    return reduce(lambda acc, i: acc * F.when(_bit(world, i + first) == 1, F.lit(float(p[i]))).otherwise(F.lit(1 - float(p[i]))), range(len(p)), F.lit(1.0))
 
 
 def spread(edges: list[tuple[int, int, int, float]], seed: int, world: Column) -> Column:
-    """Nodes that the seed reaches in a world, the seed not counted; the reached set is a bit mask."""
+    """Nodes that the seed reaches in a world, the seed not counted; the reached set is a bit mask.
+
+    Each node's live successors are one mask; the reached set grows by its members' masks, once per node.
+    """
     nodes = sorted({seed, *(n for _, a, b, _ in edges for n in (a, b))})
     at = {n: i for i, n in enumerate(nodes)}
     if not edges:
-        return F.lit(0)
-    src, dst = (F.array(*(F.lit(at[e[k]]) for e in edges)) for k in (1, 2))
-    m, one = len(edges), F.lit(1).cast("long")
-    step = lambda acc, i: F.when((_bit(world, i % m) == 1) & (_bit(acc, F.get(src, (i % m).cast("int"))) == 1), acc.bitwiseOR(F.call_function("shiftleft", one, F.get(dst, (i % m).cast("int"))))).otherwise(acc)
-    mask = F.aggregate(F.sequence(F.lit(0), F.lit(m * (len(nodes) - 1) - 1)), F.lit(1 << at[seed]).cast("long"), step)
+        return F.lit(0).cast("long")
+    none = F.lit(0).cast("long")
+    after = F.array(*(reduce(Column.bitwiseOR, (F.call_function("shiftleft", _bit(world, i), F.lit(at[b])) for i, (_, a, b, _) in enumerate(edges) if a == n), none) for n in nodes))
+    grow = lambda mask, masks: reduce(Column.bitwiseOR, (F.when(_bit(mask, v) == 1, F.get(masks, F.lit(v))).otherwise(none) for v in range(len(nodes))), mask)
+    mask = F.aggregate(F.array_repeat(after, len(nodes) - 1), F.lit(1 << at[seed]).cast("long"), grow)
     return (F.bit_count(mask) - 1).cast("long")
 
 

@@ -6,7 +6,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from spreadlab.functions.coins import key_of, md5_coin, md5_coins, mixed_coins
+from spreadlab.functions.coins import bernoulli_words, key_of, md5_coins, mixed_coins
 
 
 @dataclass
@@ -19,6 +19,7 @@ class Graph:
     p: np.ndarray
     nodes: np.ndarray = field(init=False)
     start: np.ndarray = field(init=False)
+    walked: tuple[int | None, np.ndarray] | None = field(init=False, default=None)
 
     def __post_init__(self) -> None:
         order = np.lexsort((self.dst, self.src))
@@ -35,8 +36,14 @@ class Graph:
         lengths = self.start[nodes + 1] - self.start[nodes]
         return np.repeat(self.start[nodes] - np.concatenate([[0], np.cumsum(lengths)[:-1]]), lengths) + np.arange(lengths.sum())
 
-    def bfs_order(self, seed: int) -> np.ndarray:
-        """Edge positions in visiting order; a level at a time, discovery order by (parent, dst)."""
+    def bfs_order(self, seed: int | None) -> np.ndarray:
+        """Edge positions in visiting order, kept for the next run of the same seed; none for a node that is not there."""
+        if self.walked is None or self.walked[0] != seed:
+            self.walked = seed, self._walk(seed) if seed is not None else np.zeros(0, np.int64)
+        return self.walked[1]
+
+    def _walk(self, seed: int) -> np.ndarray:
+        """A level at a time, discovery order by (parent, dst)."""
         seen, level, out = np.zeros(len(self.nodes), bool), np.array([seed]), []
         seen[seed] = True
         while len(level):
@@ -69,12 +76,14 @@ class Coins:
             u = mixed_coins(key_of(self.salt, tag, self.rep), edge_id)
         return np.lexsort((edge_id, u))
 
-    def live(self, edge_id: np.ndarray, p: np.ndarray, draws: np.ndarray) -> np.ndarray:
-        """bool[edges, draws]."""
-        if self.kind == "md5":
-            return np.stack([md5_coins(f"{self.salt}|{self.rep}|{d}", edge_id) < p for d in draws.tolist()], 1) if len(draws) else np.zeros((len(edge_id), 0), bool)
-        counters = (edge_id.astype(np.uint64) << np.uint64(24))[:, None] + draws.astype(np.uint64)[None, :]
-        return mixed_coins(key_of(self.salt, self.rep, "edge"), counters) < p[:, None]
+    def live(self, edge_id: np.ndarray, p: np.ndarray, words: np.ndarray, valid: np.ndarray) -> np.ndarray:
+        """uint64[edges, words]: bit b of word w is draw 64 w + b; md5 coins are thrown for valid bits only."""
+        if self.kind != "md5":
+            return bernoulli_words(key_of(self.salt, self.rep, "edge"), edge_id, p, words)
+        bits = np.zeros((len(edge_id), 64 * len(words)), bool)
+        for lane in np.flatnonzero(np.unpackbits(valid.view(np.uint8), bitorder="little")).tolist():
+            bits[:, lane] = md5_coins(f"{self.salt}|{self.rep}|{int(words[lane // 64]) * 64 + lane % 64}", edge_id) < p
+        return np.packbits(bits, axis=1, bitorder="little").view(np.uint64)
 
 
 def masses(p: np.ndarray, scheme: str) -> tuple[np.ndarray, np.ndarray]:
@@ -100,9 +109,10 @@ class Leaf:
     status: np.ndarray
     weight: float
     depth: int
+    path: str = ""
 
 
-def leaves_of(graph: Graph, seed: int, coins: Coins, scheme: str | None, selector: str, r: int, tau: int, n: int, recursive: bool, allocation: str = "grid_points", random_mode: str = "per_run") -> tuple[list[Leaf], int]:
+def leaves_of(graph: Graph, seed: int | None, coins: Coins, scheme: str | None, selector: str, r: int, tau: int, n: int, recursive: bool, allocation: str = "grid_points", random_mode: str = "per_run") -> tuple[list[Leaf], int]:
     """Leaves of the stratum tree of one run, and the number of tree nodes."""
     none = np.zeros(0, np.int64)
     if scheme is None or r == 0:
@@ -118,7 +128,7 @@ def leaves_of(graph: Graph, seed: int, coins: Coins, scheme: str | None, selecto
         count += 1
         left = len(graph.edge_id) - len(edges) if per_node else len(order) - cursor
         if left < r or (recursive and len(draws) < tau) or (not recursive and depth == 1):
-            found.append(Leaf(draws, edges, status, weight, depth))
+            found.append(Leaf(draws, edges, status, weight, depth, path))
             continue
         if per_node:
             shuffled = coins.permutation(f"order{path}", graph.edge_id)
@@ -146,31 +156,27 @@ def leaves_of(graph: Graph, seed: int, coins: Coins, scheme: str | None, selecto
 
 
 class LazyWorlds:
-    """Edge states of some draws, 64 to a word; an edge's coins are thrown when its source is first reached."""
+    """Edge states of words of draws; an edge's coins are thrown when its source is first reached."""
 
-    def __init__(self, graph: Graph, coins: Coins, draws: np.ndarray, leaves: list[tuple[Leaf, int, int]]):
-        self.graph, self.coins, self.draws = graph, coins, draws
-        self.width = -(-len(draws) // 64) * 64
-        self.live = np.zeros((len(graph.edge_id), self.width // 64), np.uint64)
+    def __init__(self, graph: Graph, coins: Coins, words: np.ndarray, valid: np.ndarray, leaves: list[tuple[Leaf, np.ndarray]]):
+        """leaves: each with the bits (as words) of its draws."""
+        self.graph, self.coins, self.words, self.valid = graph, coins, words, valid
+        self.live = np.zeros((len(graph.edge_id), len(words)), np.uint64)
         self.known = np.zeros(len(graph.edge_id), bool)
-        self.fixed = np.unique(np.concatenate([x.edges for x, _, _ in leaves])) if leaves else np.zeros(0, np.int64)
-        self.on = np.zeros((len(self.fixed), self.width // 64), np.uint64)
+        self.fixed = np.unique(np.concatenate([x.edges for x, _ in leaves])) if leaves else np.zeros(0, np.int64)
+        self.on = np.zeros((len(self.fixed), len(words)), np.uint64)
         self.off = np.zeros_like(self.on)
-        for leaf, a, b in leaves:
-            mask = np.zeros(self.width, bool)
-            mask[a:b] = True
-            word, at = np.packbits(mask, bitorder="little").view(np.uint64), np.searchsorted(self.fixed, leaf.edges)
-            self.on[at[leaf.status == 1]] |= word
-            self.off[at[leaf.status == 0]] |= word
+        for leaf, mask in leaves:
+            at = np.searchsorted(self.fixed, leaf.edges)
+            self.on[at[leaf.status == 1]] |= mask
+            self.off[at[leaf.status == 0]] |= mask
 
     def of(self, edges: np.ndarray) -> np.ndarray:
         new = edges[~self.known[edges]]
-        step = max(1, (8 << 20) // max(1, self.width))
+        step = max(1, (1 << 16) // max(1, len(self.words)))  # a block's temporaries stay in cache
         for i in range(0, len(new), step):
             ids = new[i : i + step]
-            bits = np.zeros((len(ids), self.width), bool)
-            bits[:, : len(self.draws)] = self.coins.live(self.graph.edge_id[ids], self.graph.p[ids], self.draws)
-            words = np.packbits(bits, axis=1, bitorder="little").view(np.uint64)
+            words = self.coins.live(self.graph.edge_id[ids], self.graph.p[ids], self.words, self.valid)
             if len(self.fixed):
                 at = np.minimum(np.searchsorted(self.fixed, ids), len(self.fixed) - 1)
                 hit = self.fixed[at] == ids
@@ -179,27 +185,49 @@ class LazyWorlds:
         self.known[new] = True
         return self.live[edges]
 
+    def thrown(self, active: np.ndarray, fresh: np.ndarray) -> int:
+        """Coins that the newly reached (draw, node) pairs throw: one per out-edge whose status is not fixed."""
+        total = int(np.bitwise_count(fresh[active]).sum(1, dtype=np.int64) @ (self.graph.start[active + 1] - self.graph.start[active]))
+        if len(self.fixed):
+            source = self.graph.src[self.fixed]
+            hit = np.isin(source, active)
+            total -= int(np.bitwise_count(fresh[source[hit]] & (self.on[hit] | self.off[hit])).sum())
+        return total
+
+
+STATE_BYTES = 64 << 20  # of edge states held at a time
 
-def outcomes(graph: Graph, seed: int, coins: Coins, leaves: list[Leaf], statistic: tuple = ("spread",), chunk: int = 256) -> np.ndarray:
-    """f of every draw of the leaves, in their order."""
+
+def outcomes(graph: Graph, seed: int | None, coins: Coins, leaves: list[Leaf], statistic: tuple = ("spread",)) -> tuple[np.ndarray, int]:
+    """(f of every draw of the leaves in their order, coins thrown)."""
     draws = np.concatenate([x.draws for x in leaves])
     kind, *args = statistic
     spans = np.cumsum([0] + [len(x.draws) for x in leaves])
-    results = []
-    for at in range(0, len(draws), chunk):
-        some = draws[at : at + chunk]
-        first, last = int(np.searchsorted(spans, at, "right")) - 1, int(np.searchsorted(spans, at + len(some), "left"))
-        here = [(leaves[i], max(0, spans[i] - at), min(len(some), spans[i + 1] - at)) for i in range(first, last) if len(leaves[i].edges)]
-        worlds = LazyWorlds(graph, coins, some, here)
-        results.append(_measure(graph, seed, worlds, kind, args)[: len(some)])
-    return np.concatenate(results) if results else np.zeros(0)
-
-
-def _measure(graph: Graph, seed: int, worlds: LazyWorlds, kind: str, args: list) -> np.ndarray:
-    width, words = worlds.width, worlds.width // 64
+    if seed is None:  # a node without edges reaches nothing
+        return np.full(len(draws), float(args[1]) if kind == "distance" else 0.0), 0
+    out, spent = np.zeros(len(draws)), 0
+    every = np.unique(draws >> 6)
+    step = max(1, STATE_BYTES // (8 * max(1, len(graph.edge_id))))
+    for i in range(0, len(every), step):
+        words = every[i : i + step]
+        here = np.flatnonzero((draws >> 6 >= words[0]) & (draws >> 6 <= words[-1]))
+        lanes = np.searchsorted(words, draws[here] >> 6) * 64 + (draws[here] & 63)
+        mask_of = lambda some, n=len(words): np.packbits(np.bincount(some, minlength=64 * n).astype(bool), bitorder="little").view(np.uint64)
+        cut = np.searchsorted(here, spans)
+        fixed = [(x, mask_of(lanes[a:b])) for x, a, b in zip(leaves, cut, cut[1:], strict=False) if b > a and len(x.edges)]
+        worlds = LazyWorlds(graph, coins, words, mask_of(lanes), fixed)
+        f, thrown = _measure(graph, seed, worlds, kind, args)
+        out[here] = f[lanes]
+        spent += thrown
+    return out, spent
+
+
+def _measure(graph: Graph, seed: int, worlds: LazyWorlds, kind: str, args: list) -> tuple[np.ndarray, int]:
+    words = len(worlds.words)
+    width = 64 * words
     reached = np.zeros((len(graph.nodes), words), np.uint64)
-    reached[seed] = np.uint64(0xFFFFFFFFFFFFFFFF)
-    fresh, active, hop = np.zeros_like(reached), np.array([seed]), 0
+    reached[seed] = worlds.valid
+    fresh, active, hop, spent = np.zeros_like(reached), np.array([seed]), 0, 0
     fresh[seed] = reached[seed]
     touched = [active]
     target = graph.number(args[0]) if kind in ("reaches", "reaches_within", "distance") else None
@@ -213,7 +241,9 @@ def _measure(graph: Graph, seed: int, worlds: LazyWorlds, kind: str, args: list)
         e = graph.out_edges(active)
         if not len(e):
             break
-        go = fresh[graph.src[e]] & worlds.of(e)
+        go = worlds.of(e)
+        spent += worlds.thrown(active, fresh)
+        go &= fresh[graph.src[e]]
         order = np.argsort(graph.dst[e], kind="stable")
         ends = graph.dst[e][order]
         heads = np.flatnonzero(np.concatenate([[True], ends[1:] != ends[:-1]]))
@@ -228,21 +258,38 @@ def _measure(graph: Graph, seed: int, worlds: LazyWorlds, kind: str, args: list)
             hit = np.unpackbits(fresh[target].view(np.uint8), bitorder="little").astype(bool)
             distance[hit] = np.minimum(distance[hit], hop)
     if kind == "distance":
-        return distance
+        return distance, spent
     if kind in ("reaches", "reaches_within"):
-        return np.zeros(width) if target is None else np.unpackbits(reached[target].view(np.uint8), bitorder="little").astype(float)
+        return np.zeros(width) if target is None else np.unpackbits(reached[target].view(np.uint8), bitorder="little").astype(float), spent
     if kind == "connects":
         hit = np.full(words, 0xFFFFFFFFFFFFFFFF, np.uint64)
         for t in args[0]:
             at = graph.number(t)
             hit = hit & reached[at] if at is not None else hit & np.uint64(0)
-        return np.unpackbits(hit.view(np.uint8), bitorder="little").astype(float)
+        return np.unpackbits(hit.view(np.uint8), bitorder="little").astype(float), spent
     total, nodes = np.zeros(width), np.unique(np.concatenate(touched))
     for i in range(0, len(nodes), 4096):
         total += np.unpackbits(reached[nodes[i : i + 4096]].view(np.uint8), axis=1, bitorder="little").sum(0)
-    return total - 1
+    return total - 1, spent
+
 
+def stratified_variance(f: np.ndarray, leaves: list[Leaf], f_hat: float, by_share: bool = True) -> float:
+    """Estimated variance of the mean: leaves' sample variances, weighted by their shares of the draws (or their masses).
 
-def bit_check(salt: int, rep: int, draw: int, edge_id: int) -> float:
-    """One coin by name, for tests."""
-    return md5_coin(salt, rep, draw, edge_id)
+    Leaves of one draw have no variance of their own: they are pooled in pairs in the order of their paths,
+    the last odd one with the pair before it; a single one takes its distance from the mean.
+    """
+    spans = np.cumsum([0] + [len(x.draws) for x in leaves])
+    total, lone = 0.0, []
+    for x, a, b in zip(leaves, spans, spans[1:], strict=False):
+        if b - a == 1:
+            lone.append((x.path, f[a], 1 / len(f) if by_share else x.weight))
+        else:
+            total += ((b - a) / len(f) if by_share else x.weight) ** 2 * f[a:b].var(ddof=1) / (b - a)
+    lone.sort()
+    pairs = len(lone) // 2
+    for i in range(max(1, pairs) if lone else 0):
+        some = lone[2 * i : 2 * i + 2] if i < pairs - 1 else lone[2 * i :]
+        value, weight = np.array([v for _, v, _ in some]), sum(w for *_, w in some)
+        total += weight**2 * (value.var(ddof=1) / len(some) if len(some) > 1 else (value[0] - f_hat) ** 2)
+    return float(total)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -12,30 +14,47 @@ from spreadlab.storage import materialize
 def bfs_edges(edges: DataFrame, seeds: DataFrame, limit: int | None = None) -> DataFrame:
     """(seed, ord, edge_id, src, dst, p): out-edges of nodes in discovery order, by dst within a node.
 
-    Edges to nodes that are known already are included. Stops once every seed has ``limit`` edges,
-    so a long graph is not walked for a short prefix.
+    Edges to nodes that are known already are included. With a limit only the first ``limit`` edges of a
+    seed are followed in any hop, so neither a long graph nor a hub is walked for a short prefix.
     """
-    seen = materialize(seeds.select("seed", F.col("seed").alias("node"), F.lit(0).cast("long").alias("nord")), "bfs-nodes")
-    front, found, base = seen, None, 1
+    front = materialize(seeds.select("seed", F.col("seed").alias("node"), F.lit(0).cast("long").alias("nord")), "bfs-nodes")
+    seen, found, base = [front], [], 1
     while True:
-        out = materialize(front.join(edges.select("edge_id", "src", "dst", "p"), F.col("node") == F.col("src")).select("seed", "nord", "edge_id", "src", "dst", "p"), "bfs-edges")
-        found = out if found is None else found.unionByName(out)
-        new = out.groupBy("seed", F.col("dst").alias("node")).agg(F.min(F.struct("nord", "dst")).alias("first")).join(seen.select("seed", "node"), ["seed", "node"], "left_anti")
+        out = front.join(edges.select("edge_id", "src", "dst", "p"), F.col("node") == F.col("src")).select("seed", "nord", "edge_id", "src", "dst", "p")
+        if limit is not None:
+            out = out.withColumn("nth", F.row_number().over(Window.partitionBy("seed").orderBy("nord", "dst"))).filter(F.col("nth") <= limit).drop("nth")
+        out = materialize(out, "bfs-edges")
+        found.append(out)
+        known = reduce(DataFrame.unionByName, seen).select("seed", "node")
+        new = out.groupBy("seed", F.col("dst").alias("node")).agg(F.min(F.struct("nord", "dst")).alias("first")).join(known, ["seed", "node"], "left_anti")
         front = materialize(new.select("seed", "node", (F.row_number().over(Window.partitionBy("seed").orderBy("first")) + base - 1).cast("long").alias("nord")), "bfs-nodes")
         if front.isEmpty():
             break
         base = front.agg(F.max("nord")).collect()[0][0] + 1
-        seen = seen.unionByName(front)
-        if limit is not None and found.groupBy("seed").count().agg(F.min("count")).collect()[0][0] >= limit:
+        seen.append(front)
+        if limit is not None and reduce(DataFrame.unionByName, found).groupBy("seed").count().agg(F.min("count")).collect()[0][0] >= limit:
             break
-    ranked = found.withColumn("ord", (F.row_number().over(Window.partitionBy("seed").orderBy("nord", "dst")) - 1).cast("long"))
+    ranked = reduce(DataFrame.unionByName, found).withColumn("ord", (F.row_number().over(Window.partitionBy("seed").orderBy("nord", "dst")) - 1).cast("long"))
     ranked = ranked if limit is None else ranked.filter(F.col("ord") < limit)
     return ranked.select("seed", "ord", "edge_id", "src", "dst", "p")
 
 
 def random_edges(edges: DataFrame, reps: int, salt: int = 7, kind: str = "md5", limit: int | None = None) -> DataFrame:
-    """(rep, ord, edge_id, src, dst, p): a hashed permutation of all edges per run; a limit is taken without a full sort."""
+    """(rep, ord, edge_id, src, dst, p): a hashed permutation of all edges per run.
+
+    With a limit only edges of a hash below a threshold are sorted, a little more than ``limit`` of a run;
+    the threshold rises until every run has enough.
+    """
     rows = edges.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1)))).withColumn("u", coin(salt, "order", F.col("rep"), F.col("edge_id"), kind=kind))
+    if limit is not None and (m := edges.count()) > limit:
+        share = (limit + 6 * limit**0.5 + 20) / m
+        while share < 1:
+            low = rows.filter(F.col("u") < share)
+            counts = low.groupBy("rep").count().agg(F.min("count"), F.count(F.lit(1))).collect()[0]
+            if counts[1] == reps and counts[0] >= limit:
+                rows = low
+                break
+            share *= 2
     ranked = rows.withColumn("ord", (F.row_number().over(Window.partitionBy("rep").orderBy("u", "edge_id")) - 1).cast("long"))
     ranked = ranked if limit is None else ranked.filter(F.col("ord") < limit)
     return ranked.select("rep", "ord", "edge_id", "src", "dst", "p")

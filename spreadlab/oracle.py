@@ -30,13 +30,13 @@ GRAPHS = {
     "nation": _trade_by("n_nationkey"),
     "region": _trade_by("n_regionkey"),
     "hierarchy": f"SELECT n_regionkey::BIGINT AS src, n_nationkey + 1000::BIGINT AS dst, 1::BIGINT AS w FROM nation UNION ALL SELECT c_nationkey + 1000::BIGINT, c_custkey + {OFFSET}, 1::BIGINT FROM customer",
-    "repost": "WITH l AS (SELECT DISTINCT doc_id, trim(line, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(trim(line, ' ')) >= 20), f AS (SELECT line FROM l GROUP BY 1 HAVING count(*) BETWEEN 2 AND 20), k AS (SELECT l.* FROM l JOIN f USING (line)) SELECT a.doc_id AS src, b.doc_id AS dst, count(*) AS w FROM k a JOIN k b ON a.line = b.line AND a.doc_id < b.doc_id GROUP BY 1, 2",
+    "repost": "WITH l AS (SELECT DISTINCT doc_id, trim(line, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(trim(line, ' ')) >= 20), f AS (SELECT line FROM l GROUP BY 1 HAVING count(*) >= 2), k AS (SELECT l.* FROM l JOIN f USING (line)) SELECT a.doc_id AS src, b.doc_id AS dst, count(*) AS w FROM k a JOIN k b ON a.line = b.line AND a.doc_id < b.doc_id GROUP BY 1, 2",
     "links": """SELECT page_id AS src, dst, count(*) AS w FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS dst FROM pages) GROUP BY 1, 2""",
     "turns": "WITH c AS (SELECT DISTINCT conv_id, turn FROM conversations) SELECT a.conv_id * 1000 + a.turn AS src, a.conv_id * 1000 + a.turn + 1 AS dst, 1::BIGINT AS w FROM c a JOIN c b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1",
 }
 
-KNN = """WITH e AS (SELECT vec_id, label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS d FROM embeddings),
-    s AS (SELECT a.vec_id AS src, b.vec_id AS dst, round(sum(a.x * b.x), 6) AS s FROM e a JOIN e b ON a.label = b.label AND a.d = b.d AND a.vec_id <> b.vec_id GROUP BY 1, 2),
+KNN = """WITH e AS (SELECT DISTINCT ON (vec_id) vec_id, embedding::DOUBLE[] AS x FROM embeddings),
+    s AS (SELECT a.vec_id AS src, b.vec_id AS dst, round(list_dot_product(a.x, b.x), 6) AS s FROM e a JOIN e b ON a.vec_id <> b.vec_id),
     r AS (SELECT *, row_number() OVER (PARTITION BY src ORDER BY s DESC, dst) AS k FROM s)
     SELECT src, dst, 1::BIGINT AS w, greatest(0.0, least(1.0, s)) AS s FROM r WHERE k <= 5"""
 
@@ -60,7 +60,7 @@ def naive_sql(edges: str, seeds: str, n: int, reps: int, salt: int = 7, hops: in
     f AS (SELECT seed, rep, draw, count(*) - 1 AS f FROM reach GROUP BY 1, 2, 3)"""
 
 
-def bfs_sql(levels: int = 8) -> str:
+def bfs_sql(levels: int = 10) -> str:
     """CTEs over edges and one seed that end in ord(ord, edge_id, src, dst, p) in visiting order."""
     out = ["n0 AS MATERIALIZED (SELECT seed AS node, 0::BIGINT AS nord, 0 AS lev FROM seeds)"]
     for i in range(1, levels + 1):
@@ -72,6 +72,13 @@ def bfs_sql(levels: int = 8) -> str:
     return ", ".join(out)
 
 
+def steps_sql(live: str, seeds: str, draws: int) -> str:
+    """CTE text that ends in d(draw, node, step): the cascade's steps in live(draw, src, dst), each node once, to its end."""
+    return f"""live AS MATERIALIZED ({live}),
+    d(draw, node, step) USING KEY (draw, node) AS (SELECT draw, seed, 0 FROM ({seeds}), range({draws}) r(draw)
+        UNION SELECT d.draw, l.dst, any_value(d.step) + 1 FROM d JOIN live l ON l.draw = d.draw AND l.src = d.node LEFT JOIN recurring.d k ON k.draw = l.draw AND k.node = l.dst WHERE k.node IS NULL GROUP BY 1, 2)"""
+
+
 def strata_sql(scheme: str, r: int, cursors: str, keys: str = "") -> str:
     """CTEs over ord(.., ord, edge_id, p) that end in strata(.., cursor, child, pi, lo, hi, consumed, status)."""
     k, g = (f"{keys}, ", f"{keys}, ") if keys else ("", "")
@@ -92,10 +99,10 @@ def strata_sql(scheme: str, r: int, cursors: str, keys: str = "") -> str:
              CASE WHEN back = 1 THEN 2.0 ELSE top END AS hi, consumed, {status} AS status FROM cum)"""
 
 
-def estimator_sql(edges: str, seeds: str, scheme: str, selector: str, r: int, recursive: bool, n: int, reps: int, tau: int = 10, salt: int = 7, most_cursor: int = 400) -> str:
-    """(seed, rep, f_hat) of a stratified estimator: one recursion for the tree, one for the reach."""
+def estimator_sql(edges: str, seeds: str, scheme: str, selector: str, r: int, recursive: bool, n: int, reps: int, tau: int = 10, salt: int = 7, most_cursor: int = 400, levels: int = 10, draws: bool = False) -> str:
+    """(seed, rep, f_hat) of a stratified estimator: one recursion for the tree, one for the reach; draws: each one's outcome, path and coins."""
     if selector == "bfs":
-        order, keys, on_rep, on_rep2 = bfs_sql(), "", "", ""
+        order, keys, on_rep, on_rep2 = bfs_sql(levels), "", "", ""
     else:
         order = f"ord AS MATERIALIZED (SELECT rep, row_number() OVER (PARTITION BY rep ORDER BY {coin_sql(str(salt), chr(39) + 'order' + chr(39), 'rep', 'edge_id')}, edge_id) - 1 AS ord, edge_id, src, dst, p FROM edges, range({reps}) a(rep))"
         keys, on_rep, on_rep2 = "rep", "AND s.rep = t.rep", "AND o.rep = x.rep"
@@ -105,6 +112,10 @@ def estimator_sql(edges: str, seeds: str, scheme: str, selector: str, r: int, re
     leaf = (f"n2 < {tau} OR " if recursive else "true OR ") + f"(SELECT max(ord) + 1 FROM ord) - cursor2 < {r}"
     first = ("" if not recursive else f"{n} < {tau} OR ") + f"(SELECT max(ord) + 1 FROM ord) < {r}"
     c = coin_sql(str(salt), "x.rep", "x.draw", "o.edge_id")
+    result = "SELECT (SELECT seed FROM seeds) AS seed, rep::INTEGER AS rep, round(avg(f), 9) AS f_hat FROM (SELECT rep, draw, count(*) - 1 AS f FROM x GROUP BY 1, 2) GROUP BY 1, 2"
+    if draws:
+        result = f""", thrown AS (SELECT x.rep, x.draw, count(*) AS coins FROM x JOIN leaf l ON l.rep = x.rep AND l.draw = x.draw JOIN ord o ON o.src = x.node {on_rep2} WHERE o.ord >= l.cursor GROUP BY 1, 2)
+    SELECT (SELECT seed FROM seeds) AS seed, l.rep, l.draw, l.path, count(*) - 1 AS f, coalesce(any_value(t.coins), 0) AS coins FROM x JOIN leaf l ON l.rep = x.rep AND l.draw = x.draw LEFT JOIN thrown t ON t.rep = x.rep AND t.draw = x.draw GROUP BY ALL"""
     return f"""WITH RECURSIVE edges AS MATERIALIZED ({edges}), seeds AS MATERIALIZED ({seeds}), {order}, {grown},
     t AS (SELECT rep, draw, '' AS path, 0::BIGINT AS cursor, draw AS k, {n}::BIGINT AS n, []::INTEGER[] AS fixed, ({first}) AS done FROM range({reps}) a(rep), range({n}) b(draw)
         UNION ALL SELECT rep, draw, path2, cursor2, k2, n2, fixed2, ({leaf}) FROM (
@@ -115,7 +126,7 @@ def estimator_sql(edges: str, seeds: str, scheme: str, selector: str, r: int, re
     x AS (SELECT l.rep, l.draw, seed AS node FROM leaf l, seeds
         UNION SELECT x.rep, x.draw, o.dst FROM x JOIN leaf l ON l.rep = x.rep AND l.draw = x.draw JOIN ord o ON o.src = x.node {on_rep2}
         WHERE CASE WHEN o.ord < l.cursor THEN l.fixed[o.ord + 1] = 1 ELSE {c} < o.p END)
-    SELECT (SELECT seed FROM seeds) AS seed, rep::INTEGER AS rep, round(avg(f), 9) AS f_hat FROM (SELECT rep, draw, count(*) - 1 AS f FROM x GROUP BY 1, 2) GROUP BY 1, 2"""
+    {result}"""
 
 
 def worlds_sql(edges: str, seed: int | str, m: int, fixed: str = "true") -> str:
@@ -124,3 +135,23 @@ def worlds_sql(edges: str, seed: int | str, m: int, fixed: str = "true") -> str:
     prob AS (SELECT world, product(CASE WHEN (world >> i::INTEGER) & 1 = 1 THEN p ELSE 1 - p END) AS pr FROM ids, edges GROUP BY 1),
     reach AS (SELECT world, {seed}::BIGINT AS node FROM ids UNION SELECT r.world, e.dst FROM reach r JOIN edges e ON e.src = r.node AND (r.world >> e.i::INTEGER) & 1 = 1),
     w AS (SELECT world, pr, count(*) - 1 AS f FROM reach JOIN prob USING (world) GROUP BY 1, 2)"""
+
+
+def estimates_sql(edges: str, k: int, methods: dict[str, tuple], n: int, reps: int, **options) -> str:
+    """(estimator, seed, rep, f_hat) of several estimators over k random seeds; methods: name -> (scheme, selector, recursive, r)."""
+    parts = []
+    for method, (scheme, selector, recursive, r) in methods.items():
+        if scheme is None:
+            parts.append(f"SELECT '{method}' AS estimator, seed, rep, f_hat FROM (WITH RECURSIVE {naive_sql(edges, seeds_sql('edges', k), n, reps)} SELECT seed, rep, avg(f) AS f_hat FROM f GROUP BY 1, 2)")
+            continue
+        for i in range(k):
+            one = f"SELECT seed FROM ({seeds_sql('edges', i + 1)}) OFFSET {i}"
+            parts.append(f"SELECT '{method}' AS estimator, seed, rep, f_hat FROM ({estimator_sql(edges, one, scheme, selector, r, recursive, n, reps, **options)})")
+    return " UNION ALL ".join(parts)
+
+
+def relative_sql(estimates: str, base: str = "naive") -> str:
+    """CTE text that ends in rel(estimator, mean_of_ratios, ratio_of_means, seeds, excluded)."""
+    return f"""e AS MATERIALIZED ({estimates}), v AS (SELECT estimator, seed, var_samp(f_hat) AS v FROM e GROUP BY 1, 2),
+    rel AS (SELECT a.estimator, avg(CASE WHEN b.v > 0 THEN a.v / b.v END) AS mean_of_ratios, CASE WHEN sum(b.v) > 0 THEN sum(a.v) / sum(b.v) END AS ratio_of_means, count(CASE WHEN b.v > 0 THEN 1 END) AS seeds, count(CASE WHEN b.v > 0 THEN NULL ELSE 1 END) AS excluded
+            FROM v a JOIN v b ON a.seed = b.seed AND b.estimator = '{base}' GROUP BY 1)"""

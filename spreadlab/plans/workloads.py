@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spreadlab.operators.metrics import reduction_pct, relative_variance
-from spreadlab.plans.estimators import ESTIMATORS, SampleSpec, collect_graph, estimate
+from spreadlab.plans.estimators import ESTIMATORS, SampleSpec, collect_graph, estimate, fits_memory
 from spreadlab.storage import materialize
 
 
@@ -20,9 +20,12 @@ def shared_graph(edges: DataFrame):
 
 def estimates_of(edges: DataFrame, seeds: DataFrame, methods: list[str] | None = None, spec: SampleSpec = SampleSpec(reps=40), rs: dict[str, int] | None = None, tau: int = 10) -> DataFrame:  # noqa: B008
     """All estimators over the same seeds and coins (common random numbers)."""
-    graph = shared_graph(edges) if spec.engine in ("auto", "local") else None
+    graph = shared_graph(edges) if spec.engine == "local" or spec.engine == "auto" and fits_memory(edges) else None
     runs = [estimate(edges, seeds, m, (rs or {}).get(m), tau, spec, graph=graph) for m in methods or list(ESTIMATORS)]
-    return materialize(reduce(DataFrame.unionByName, runs), "estimates")
+    out = materialize(reduce(DataFrame.unionByName, runs), "estimates")
+    if graph is not None:
+        graph.unpersist()
+    return out
 
 
 def accuracy_table(edges: DataFrame, seeds: DataFrame, spec: SampleSpec = SampleSpec(reps=40), rs: dict[str, int] | None = None) -> DataFrame:  # noqa: B008
@@ -38,6 +41,7 @@ def running_time(edges: DataFrame, seeds: DataFrame, methods: list[str] | None =
         began = time.perf_counter()
         estimate(edges, seeds, m, (rs or {}).get(m), spec=spec, graph=graph).agg(F.avg("f_hat")).collect()
         out[m] = (time.perf_counter() - began) / n
+    graph.unpersist()
     return out
 
 
@@ -48,13 +52,19 @@ def effect_of_r(edges: DataFrame, seeds: DataFrame, scheme: str, values: list[in
     return reduce(DataFrame.unionByName, tables)
 
 
-def effect_of_n(edges: DataFrame, seeds: DataFrame, values: list[int], reps: int = 40, salt: int = 7) -> DataFrame:
+def effect_of_n(edges: DataFrame, seeds: DataFrame, values: list[int], reps: int = 40, salt: int = 7, coin: str = "mixed") -> DataFrame:
     """(n, estimator, mean_of_ratios, ..) of the two recursive breadth-first estimators."""
     own = ["cube_recursive_bfs", "stair_recursive_bfs"]
-    tables = [relative_variance(estimates_of(edges, seeds, ["naive", *own], SampleSpec(n=n, reps=reps, salt=salt))).withColumn("n", F.lit(n)) for n in values]
+    tables = [relative_variance(estimates_of(edges, seeds, ["naive", *own], SampleSpec(n=n, reps=reps, salt=salt, coin=coin))).withColumn("n", F.lit(n)) for n in values]
     return reduce(DataFrame.unionByName, tables)
 
 
+def ablation(relative: DataFrame, this: str, that: str) -> DataFrame:
+    """(family, ratio): relative variance of the estimators named with ``this`` over their counterparts named with ``that``."""
+    one = relative.filter(F.col("estimator").contains(this)).select(F.replace("estimator", F.lit(this), F.lit("")).alias("family"), F.replace("estimator", F.lit(this), F.lit(that)).alias("counterpart"), F.col("mean_of_ratios").alias("a"))
+    return one.join(relative.select(F.col("estimator").alias("counterpart"), F.col("mean_of_ratios").alias("b")), "counterpart").select("family", (F.col("a") / F.col("b")).alias("ratio"))
+
+
 def top_influencers(edges: DataFrame, k: int, method: str = "cube_recursive_bfs", spec: SampleSpec = SampleSpec(n=200), **options) -> DataFrame:  # noqa: B008
     """(seed, f_hat): the k source nodes of the largest estimated spread; every source is evaluated."""
     seeds = edges.select(F.col("src").alias("seed")).distinct()

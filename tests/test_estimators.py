@@ -6,10 +6,10 @@ from pyspark.sql import functions as F
 
 from spreadlab.functions.coins import coin, md5_coin
 from spreadlab.operators import exact, local, metrics
-from spreadlab.operators.order import bfs_edges
-from spreadlab.operators.reach import frontier, packed, spread_of
+from spreadlab.operators.order import bfs_edges, random_edges
+from spreadlab.operators.reach import closure, frontier, packed, spread_of
 from spreadlab.operators.tree import root_draws
-from spreadlab.plans.estimators import ESTIMATORS, SampleSpec, estimate
+from spreadlab.plans.estimators import ESTIMATORS, SampleSpec, estimate, estimate_sets
 from spreadlab.sources import graphs as G
 
 EXACT, VARIANCE = 2.020416, 3.000463
@@ -24,7 +24,7 @@ def run(g, seed, method, n, rep, tau=10, r=None, **options):
     scheme, selector, recursive, default = ESTIMATORS[method]
     coins = local.Coins(7, rep, "mixed")
     leaves, _ = local.leaves_of(g, g.number(seed), coins, scheme, selector, default if r is None else r, tau, n, recursive, **options)
-    return leaves, local.outcomes(g, g.number(seed), coins, leaves)
+    return leaves, local.outcomes(g, g.number(seed), coins, leaves)[0]
 
 
 def test_exact_values_agree(spark):
@@ -103,9 +103,78 @@ def test_engines_agree(spark):
     bits = packed(e, s, 70).collect()
     counts = [sum((r.bits >> (d % 64)) & 1 for r in bits if r.word == d // 64) - 1 for d in range(70)]
     assert [f[d] for d in range(70)] == counts
-    spec = {"n": 40, "reps": 1, "coin": "md5"}
-    one, two = (estimate(e, s, "stair_recursive_bfs", r=3, spec=SampleSpec(engine=x, **spec)).collect()[0].f_hat for x in ("local", "frontier"))
-    assert one == pytest.approx(two, abs=1e-12)
+
+
+@pytest.mark.parametrize("method", list(ESTIMATORS))
+def test_engines_agree_in_every_column(spark, method):
+    e, s = G.example(spark), spark.createDataFrame([(5,), (4,), (77,)], "seed long")
+    rows = {x: sorted(tuple(r) for r in estimate(e, s, method, r=RS.get(method[:4]), spec=SampleSpec(n=60, reps=2, coin="md5", engine=x)).collect()) for x in ("local", "frontier")}
+    if method in ("stair_recursive_bfs", "naive"):
+        rows["packed"] = sorted(tuple(r) for r in estimate(e, s, method, r=RS.get(method[:4]), spec=SampleSpec(n=60, reps=2, coin="md5", engine="packed")).collect())
+    for got in rows.values():
+        assert len(got) == 6
+        for a, b in zip(rows["local"], got, strict=True):
+            assert a[:3] == b[:3] and a[3:] == pytest.approx(b[3:], abs=1e-12)
+
+
+def test_targets_agree_between_engines(spark):
+    e, s = G.example(spark), spark.createDataFrame([(5,)], "seed long")
+    for x in (("reaches", 2), ("reaches_within", 2, 2), ("distance", 2, 9), ("connects", (1, 4))):
+        one, two = (tuple(estimate(e, s, "cube_recursive_bfs", r=2, spec=SampleSpec(n=60, coin="md5", engine=k), statistic=x).collect()[0])[3:] for k in ("local", "frontier"))
+        assert one == pytest.approx(two, abs=1e-12), x
+    for bad in ({"allocation": "nearest_drop"}, {"random_mode": "per_node"}):
+        with pytest.raises(ValueError):
+            estimate(e, s, "cube_basic_random", spec=SampleSpec(engine="frontier", **bad))
+    with pytest.raises(ValueError):
+        estimate(e, s, "naive", spec=SampleSpec(engine="packed"), statistic=("reaches", 2))
+
+
+def test_estimated_variance_is_right():
+    """The mean of the stratified estimate is the variance over runs, with single-draw leaves too."""
+    g = graph()
+    for method, r in (("naive", None), ("cube_basic_bfs", 2), ("cube_recursive_bfs", 2), ("stair_recursive_bfs", 3)):
+        means, guesses = [], []
+        for rep in range(400):
+            leaves, f = run(g, 5, method, 100, rep, r=r)
+            means.append(f.mean())
+            guesses.append(local.stratified_variance(f, leaves, f.mean()))
+        # grid slots spread draws more evenly than independent ones, so the estimate may lie above
+        assert 0.8 < np.mean(guesses) / np.var(means, ddof=1) < 1.6, method
+
+
+def test_packed_coins_have_their_probabilities():
+    from spreadlab.functions.coins import bernoulli_words, key_of
+
+    p = np.array([0.0, 1e-4, 0.25, 0.3, 0.5, 0.999, 1.0])
+    bits = bernoulli_words(key_of(1, "x"), np.arange(7), p, np.arange(4000))
+    share = np.bitwise_count(bits).sum(1) / (64 * 4000)
+    assert (np.abs(share - p) <= 5 * np.sqrt(p * (1 - p) / (64 * 4000))).all()
+    some = bernoulli_words(key_of(1, "x"), np.array([3, 2]), p[[3, 2]], np.array([17, 5]))
+    assert (some == bits[[3, 2]][:, [17, 5]]).all()
+
+
+def test_prefixes_of_orders(spark):
+    rng = np.random.default_rng(3)
+    pairs = sorted({(int(a), int(b)) for a, b in rng.integers(0, 40, (200, 2)) if a != b})
+    e = spark.createDataFrame([(i, a, b, 0.5) for i, (a, b) in enumerate(pairs)], "edge_id long, src long, dst long, p double")
+    s = spark.createDataFrame([(pairs[0][0],), (pairs[50][0],)], "seed long")
+    whole = {(r.seed, r.ord): r.edge_id for r in bfs_edges(e, s).collect()}
+    assert {(r.seed, r.ord): r.edge_id for r in bfs_edges(e, s, 30).collect()} == {k: v for k, v in whole.items() if k[1] < 30}
+    every = {(r.rep, r.ord): r.edge_id for r in random_edges(e, 3).collect()}
+    assert {(r.rep, r.ord): r.edge_id for r in random_edges(e, 3, limit=9).collect()} == {k: v for k, v in every.items() if k[1] < 9}
+
+
+def test_seed_sets(spark):
+    e = G.given(G.example(spark).drop("p"), 1.0)
+    members = spark.createDataFrame([(0, 5), (1, 1), (1, 6), (2, 4), (2, 4), (3, 99), (4, None)], "set_id long, node long")
+    for engine in ("local", "frontier"):
+        got = {r.seed: r.f_hat for r in estimate_sets(e, members, "cube_recursive_bfs", r=2, spec=SampleSpec(n=20, engine=engine)).collect()}
+        assert got == {0: 5.0, 1: 3.0, 2: 2.0, 3: 0.0}
+
+
+def test_closure_goes_to_the_end(spark):
+    chain = spark.createDataFrame([(i, i, i + 1, 1.0) for i in range(24)] + [(99, 50, 51, 1.0)], "edge_id long, src long, dst long, p double")
+    assert closure(chain, spark.createDataFrame([(3,)], "seed long")).count() == 21
 
 
 def test_other_targets_and_absent_seed(spark):

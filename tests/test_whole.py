@@ -31,7 +31,7 @@ def test_repost_keeps_lines_of_any_frequency(spark, tmp_path):
 
 
 def test_region_worlds_of_all_edges(spark):
-    e = catalog.region_top(spark, SF)
+    e = catalog.region_edges(spark, SF)
     rows, seed = e.orderBy("edge_id").collect(), catalog.region_seed(e)
     assert len(rows) == G.region(spark, SF).count() > 12
     world, pr = np.arange(1 << len(rows)), np.ones(1 << len(rows))
