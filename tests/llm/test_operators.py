@@ -132,6 +132,23 @@ def test_top_k_matches_brute_force(spark):
     assert topk.exact_top_k(ints.limit(0), ints.limit(0)).count() == 0
 
 
+def test_top_k_of_any_finite_vectors(spark):
+    """Products beyond 64 bits are ranked whole; scores beyond a long are the nearest long."""
+    rng = np.random.default_rng(3)
+    scale = [1.0, 65536.0, 1e9, 1e20, 1e38]
+    rows = [(i, [float(np.float32(x * scale[i % 5])) for x in rng.normal(size=6)]) for i in range(200)]
+    rows += [(300, rows[3][1]), (301, [float(2**52 + 1), -0.5, 0.0, 0.0, 0.0, 0.0])]
+    ints = topk.scaled_integers(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), 1024)
+    whole = {i: [int(x * 1024 // 1) for x in v] for i, v in rows}
+    for shard_rows in (10_000, 30):
+        got = topk.exact_top_k(ints.filter("vec_id % 50 < 3"), ints, k=10, shard_rows=shard_rows).collect()
+        want = []
+        for q in (x for x in whole if x % 50 < 3):
+            best = sorted((-sum(a * b for a, b in zip(whole[q], v, strict=True)), i) for i, v in whole.items() if i != q)[:10]
+            want += [(q, k + 1, i, min(max(-s, -(1 << 63)), (1 << 63) - 1)) for k, (s, i) in enumerate(best)]
+        assert sorted(map(tuple, got)) == sorted(want)
+
+
 # --- urls --------------------------------------------------------------------------------------------
 def test_url_parts_rules_and_templates(spark):
     urls = ["http://A.Example.ORG/en/1x?q", "http://example.org", "x://example.org/es/", "no scheme", None, "http://fr.com/fr/9#x", "http://notorg/a", "http://b.com/de/7", "http://com/fr/", "http://h.net:80/en/é\n2"]
@@ -149,6 +166,41 @@ def test_url_parts_rules_and_templates(spark):
     assert url_templates.judge_urls(table.limit(0)).count() == 0
 
 
+def test_url_method_decides(spark):
+    """Few paths a host, none labelled on some endings: hardly anything is left to the prior, and hidden rule verdicts are met."""
+    rng = random.Random(21)
+    urls = [f"http://h{rng.randrange(30)}.{rng.choice(['example.org', 'example.com', 'example.net'])}/{rng.choice(['en', 'es', 'fr', 'de'])}/{rng.randrange(10**5)}{rng.choice(['', '/', '.html'])}" for _ in range(1500)]
+    table = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    got = url_templates.judge_urls(table).collect()
+    assert sum(r.decided_by == "prior" for r in got) < 0.1 * len(got)
+    assert {r.template for r in got} <= {f"/{a}/{b}" for a in ("en", "es", "fr", "de") for b in ("{number}", "{number}/", "{number}.html")}
+    judged, agree = url_templates.held_out_agreement(table).collect()[0]
+    assert judged > 100 and agree / judged > 0.85
+
+
+def test_url_branches_are_tested_without_themselves(spark):
+    """Alike siblings merge at any level, a deviating one and one without labels beside disagreeing ones do not."""
+    rows = [("h", f"/x/{b}/{{number}}", 50, g, 40 - g) for b, g in (("a", 40), ("b", 39), ("c", 0))] + [("h", "/x/d/{number}", 50, 0, 0)]
+    rows += [("k", f"/{b}/{{number}}", 50, g, n - g) for b, g, n in (("a", 38, 40), ("b", 39, 40), ("d", 0, 0))]
+    table = spark.createDataFrame(rows, "host string, template string, n long, good long, bad long")
+    got = {(r.host, r.template): r.merged for r in url_templates.merge_branches(table).collect()}
+    assert got["h", "/x/c/{number}"] == "/x/c/{number}" and got["h", "/x/d/{number}"] == "/x/d/{number}"
+    assert {got["k", f"/{b}/{{number}}"] for b in "abd"} == {"/{branch}/{number}"}
+
+
+def test_deep_paths_and_rules_in_sql(spark, tmp_path):
+    import duckdb
+
+    urls = ["http://a.example.org/" + "/".join(str(i) for i in range(40)), None, "x", "HTTP://Example.ORG/es/1", "http://org", "http://org/", "http://b.com/fr/\n1?x", "a://b.c://d.org/e"]
+    table = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    assert next(r for r in url_templates.judge_urls(table).collect() if r.id == 0).template.endswith("/{number}" * 34)
+    table.coalesce(1).write.parquet(f"{tmp_path}/pages.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW pages AS SELECT * FROM '{tmp_path}/pages.parquet/*.parquet'")
+    got = url_templates.url_rules(spark, str(tmp_path))
+    assert sorted(map(str, (tuple(r) for r in got.collect()))) == sorted(map(str, con.execute(url_templates.ORACLES["url_rules"]).fetchall()))
+
+
 # --- toxicity ----------------------------------------------------------------------------------------
 def test_folding():
     assert toxicity.fold("Тhе 1DI0T, m0r0n!") == toxicity.fold("the idiot moron")
@@ -347,11 +399,24 @@ def test_leaks_are_found(spark):
 
 
 # --- passages ----------------------------------------------------------------------------------------
-def test_compact_windows_cover_every_window():
-    v = np.random.default_rng(12).integers(0, 50, 300).astype(np.uint64)
-    starts, minima = substrings.compact_windows(v, 46)
-    at = np.searchsorted(starts, np.arange(255), "right") - 1
-    assert (minima[at] == [v[i : i + 46].min() for i in range(255)]).all()
+def test_compact_windows_cover_every_subsequence():
+    """Each subsequence of the least length or more lies in windows of its own minimum only, and in one at least."""
+    for top in (12, 10**6):
+        v, window = np.random.default_rng(12).integers(0, top, 150).astype(np.uint64), 20
+        first, least, last = substrings.compact_windows(v, window)
+        assert (last - first + 1 >= window).all()
+        for i in range(150):
+            for j in range(i + window - 1, 150):
+                within = (first <= i) & (i <= least) & (least <= j) & (j <= last)
+                assert within.any() and set(v[least[within]].tolist()) == {v[i : j + 1].min()}
+    assert len(substrings.compact_windows(v[:19], 20)[0]) == 0
+
+
+def test_ranges_joined_by_collisions():
+    two = [(0, 100, 130, 120, 10, 40, 30), (1, 90, 120, 118, 0, 30, 28)]
+    assert substrings.joined_ranges(two, 20) == [(10, 30, 100, 120)]
+    assert substrings.joined_ranges([two[0], (0, 90, 120, 118, 0, 30, 28)], 20) == []  # one function twice
+    assert substrings.joined_ranges([two[0], (1, 0, 5, 3, 50, 60, 58)], 20) == []
 
 
 def test_repeated_passages(spark):
