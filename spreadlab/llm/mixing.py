@@ -242,4 +242,21 @@ def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_counts(table(spark, sf_dir, "documents")).select(F.col("key.id").alias("doc_id"), "size", "source_size", "target", "taken")
 
 
-QUERIES = {"op6_mixing": op6_mixing}
+def mix_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(source, source_size, target): what op6 aims at."""
+    docs = table(spark, sf_dir, "documents")
+    targets = targets_for(docs.select(F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")))
+    return targets.select("source", "source_size", F.round("target", 4).alias("target"))
+
+
+QUERIES = {"op6_mixing": op6_mixing, "mix_targets": mix_targets}
+ORACLES = {
+    # filled up to one level: sources whose cap lies below their weight's share of it stop at the cap
+    "mix_targets": """
+        WITH s AS (SELECT source, sum(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')))::BIGINT AS source_size FROM documents GROUP BY 1),
+        w AS (SELECT *, [5, 2, 1][(row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1] AS weight, 2.0 * source_size AS cap FROM s),
+        o AS (SELECT *, cap / weight AS full_at, 1.5 * sum(source_size) OVER () - coalesce(sum(cap) OVER below, 0) AS rest, sum(weight) OVER () - coalesce(sum(weight) OVER below, 0) AS open_weight
+              FROM w WINDOW below AS (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+        level AS (SELECT rest / open_weight AS height FROM o WHERE rest / open_weight <= full_at ORDER BY full_at, source NULLS LAST LIMIT 1)
+        SELECT source, source_size, round(least(cap, weight * coalesce((SELECT height FROM level), 1e300)), 4) AS target FROM o""",
+}

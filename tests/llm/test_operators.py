@@ -1,6 +1,7 @@
 """The training-data operators against brute force, round trips and their defined cases."""
 
 import math
+import os
 import random
 import zlib
 
@@ -398,6 +399,41 @@ def test_leaks_are_found(spark):
     assert decontaminate.find_leaks(table, bench.limit(0)).count() == 0
 
 
+def test_leaks_match_brute_force(spark):
+    """Every document against every item, whole text by whole text."""
+    rng = random.Random(31)
+    items = [prose(rng, rng.randrange(12, 60), 900) for _ in range(12)]
+    texts = [prose(rng, rng.randrange(0, 300), 900) for _ in range(40)]
+    for i in range(40):
+        if i % 2:
+            texts[i] += " " + edited(rng, items[rng.randrange(12)], rng.choice([0, 0.05, 0.15, 0.3, 0.6]))
+    table, bench = docs(spark, texts), spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    got = {(r.id, r.item_id): r.score for r in decontaminate.find_leaks(table, bench).collect()}
+    hashed = lambda t: decontaminate.hash_words(decontaminate.lower_words_of(t))
+    want = {}
+    for d, text in enumerate(texts):
+        for j, item in enumerate(items):
+            score = decontaminate.align(hashed(item), hashed(text))[0] / (2 * len(item.split()))
+            if score >= 0.5:
+                want[d, j] = score
+    assert set(got) == set(want) and all(got[k] == pytest.approx(want[k], abs=0.02) for k in want)
+    assert {r.doc_id for r in decontaminate.drop_leaks(table, bench).collect()} == set(range(40)) - {d for d, _ in want}
+
+
+SF = "/root/testdata/sf0.01"
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="the given tables are not here")
+def test_queries_on_held_out_labels(spark):
+    """op1 and op4 on rows that they never learnt from, and the rule part of op3's verdicts."""
+    labels = {r.doc_id: r for r in spark.read.parquet(f"{SF}/labels.parquet").collect()}
+    for query, column, least in ((quality.op1_pu_quality, "quality", 0.95), (toxicity.op4_toxicity, "toxic", 0.85)):
+        rows = query(spark, SF).collect()
+        assert len(rows) == 1000 and all(0 <= r.score <= 1 for r in rows)
+        held = [(r.predicted, labels[r.doc_id][column]) for r in rows if r.held_out and r.doc_id in labels and labels[r.doc_id][column] is not None]
+        assert len(held) > 50 and np.mean([a == b for a, b in held]) >= least, column
+
+
 # --- passages ----------------------------------------------------------------------------------------
 def test_compact_windows_cover_every_subsequence():
     """Each subsequence of the least length or more lies in windows of its own minimum only, and in one at least."""
