@@ -1,4 +1,10 @@
-"""Influence graphs derived from the given tables: edges(src, dst, w), no loops, one row per pair."""
+"""Influence graphs derived from the given tables: edges(src, dst, w), no loops, one row per pair.
+
+Defined cases, for every builder: a null end makes no edge and a null text, list or time no row; repeated
+rows add to the weight, but for orders' parts, lines of a document and turns, which count once; ties of a
+time go by the event's id, ties of a similarity to the smaller id; lines and texts are read whole; an empty
+table gives an empty graph; other columns are ignored.
+"""
 
 from __future__ import annotations
 
@@ -10,6 +16,7 @@ from pyspark.sql import functions as F
 from spreadlab.functions.coins import coin
 from spreadlab.storage import materialize
 
+TRIALS = 100_000  # of a range of trials of a random graph
 OFFSET = 1_000_000_000  # customers' ids in graphs that also hold suppliers
 EXAMPLE = ((5, 3, 0.6), (5, 6, 0.3), (3, 1, 0.5), (3, 4, 0.4), (6, 2, 0.7), (1, 2, 0.2), (1, 3, 0.3), (1, 4, 0.5), (4, 6, 0.6), (2, 6, 0.4))
 
@@ -183,7 +190,16 @@ def er(spark: SparkSession, n: int, m: int, salt: int = 3, kind: str = "md5") ->
     """Random directed graph: hashed end points of enough trials, the first m distinct pairs by trial."""
     trials = spark.range(int(m * 1.1) + 20).withColumnRenamed("id", "t")
     ends = trials.select("t", *(F.floor(coin(salt, side, F.col("t"), kind=kind) * n).cast("long").alias(side) for side in ("src", "dst")))
-    return ends.filter("src <> dst").groupBy("src", "dst").agg(F.min("t").alias("t")).orderBy("t").limit(m).select("src", "dst", F.lit(1).cast("long").alias("w"))
+    pairs = materialize(ends.filter("src <> dst").groupBy("src", "dst").agg(F.min("t").alias("t")), "trials")
+    # the m-th trial that counts lies in one range of trials, found from the ranges' counts; only that range is ordered
+    ranges = pairs.groupBy(F.floor(F.col("t") / TRIALS).alias("range")).agg(F.count(F.lit(1)).alias("rows"))
+    total = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, 0)
+    cut = ranges.withColumn("until", F.sum("rows").over(total)).filter(F.col("until") >= m).orderBy("range").limit(1).collect()
+    if cut:
+        nth = m - (cut[0].until - cut[0].rows)
+        last = pairs.filter(F.floor(F.col("t") / TRIALS) == cut[0].range).orderBy("t").limit(nth).agg(F.max("t")).collect()[0][0]
+        pairs = pairs.filter(F.col("t") <= last)
+    return pairs.select("src", "dst", F.lit(1).cast("long").alias("w"))
 
 
 def symmetrize(edges: DataFrame) -> DataFrame:

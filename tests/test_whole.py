@@ -72,10 +72,33 @@ def test_sweeps_take_every_value(spark, monkeypatch):
     seen = []
     one = spark.createDataFrame([(1,)], "r int")
     monkeypatch.setattr(G, "prepare", lambda *_: one)
-    monkeypatch.setattr(G, "coorder", lambda *_: one)
     monkeypatch.setattr(G, "random_seeds", lambda *_: one)
     monkeypatch.setattr(catalog.workloads, "effect_of_r", lambda e, s, scheme, values, spec: seen.append((scheme, values)) or one)
-    monkeypatch.setattr(catalog.workloads, "effect_of_n", lambda e, s, values, reps: seen.append(("n", values)) or one)
-    catalog.effect_of_r(spark, SF)
-    catalog.effect_of_n(spark, SF)
+    monkeypatch.setattr(catalog.workloads, "effect_of_n", lambda e, s, values, reps, coin: seen.append(("n", values)) or one)
+    catalog.QUERIES["workload_effect_of_r"](spark, SF)
+    catalog.QUERIES["workload_effect_of_n"](spark, SF)
     assert seen == [("cube", [1, 2, 3, 5, 10]), ("staircase", [10, 20, 30, 50, 70]), ("n", [200, 500, 1000, 2000, 5000])]
+
+
+def test_random_graph_takes_the_first_trials(spark, monkeypatch):
+    whole = {(r.src, r.dst) for r in G.er(spark, 40, 10**6).collect()}
+    monkeypatch.setattr(G, "TRIALS", 30)
+    first = [tuple(r) for r in G.er(spark, 40, 300).select("src", "dst").collect()]
+    trials = [(int(md5_coin(3, "src", t) * 40), int(md5_coin(3, "dst", t) * 40)) for t in range(350)]
+    want = list(dict.fromkeys(p for p in trials if p[0] != p[1]))[:300]
+    assert sorted(first) == sorted(want) and set(first) <= whole
+
+
+def test_scratch_is_deleted(spark, tmp_path):
+    from spreadlab.storage import discard, materialize, scratch_scope, shared_root
+
+    assert "://" in shared_root(spark) or shared_root(spark).startswith("file:")
+    with scratch_scope(spark) as made:
+        kept, gone = materialize(spark.range(3), "kept"), materialize(spark.range(4), "gone")
+        made.remove(kept._scratch)
+    assert kept.count() == 3
+    with pytest.raises(Exception, match="(?i)not.*exist|PATH_NOT_FOUND|FILE_NOT"):
+        spark.read.parquet(gone._scratch).count()
+    discard(kept, spark.range(1))
+    with pytest.raises(Exception, match="(?i)not.*exist|PATH_NOT_FOUND|FILE_NOT"):
+        spark.read.parquet(kept._scratch).count()
