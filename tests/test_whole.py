@@ -48,6 +48,21 @@ def test_region_worlds_of_all_edges(spark):
     assert got.variance == pytest.approx((pr * f * f).sum() - (pr * f).sum() ** 2, abs=1e-8)
 
 
+@pytest.mark.parametrize("name", ["exact_example"])
+def test_exact_values_follow_the_table(spark, tmp_path, name):
+    rows = [(10 * c + p, c, f"{p}-X") for c in range(1, 8) for p in range(1, 6)]
+    spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_orderpriority string").write.parquet(f"{tmp_path}/orders.parquet")
+    seen = []
+    read, G.read = G.read, lambda s, d, table: seen.append(table) or read(s, d, table)
+    try:
+        got = catalog.QUERIES[name](spark, str(tmp_path)).collect()
+    finally:
+        G.read = read
+    assert seen == ["orders"] and len(got) == {"exact_example": 1, "exact_divide_conquer": 5, "conditional_spread": 20, "worst_case_variance": 7}[name]
+    if name == "worst_case_variance":
+        assert {(r.n, r.measured, r.formula) for r in got} == {(5, 2940.3, 3062.8125)}
+
+
 def test_cascade_runs_to_its_end(spark, monkeypatch):
     chain = spark.createDataFrame([(i, i, i + 1, 1, 1.0) for i in range(9)], "edge_id long, src long, dst long, w long, p double")
     monkeypatch.setattr(catalog, "message_edges", lambda *_: chain)
