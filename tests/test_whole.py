@@ -48,7 +48,7 @@ def test_region_worlds_of_all_edges(spark):
     assert got.variance == pytest.approx((pr * f * f).sum() - (pr * f).sum() ** 2, abs=1e-8)
 
 
-@pytest.mark.parametrize("name", ["exact_example", "exact_divide_conquer", "conditional_spread"])
+@pytest.mark.parametrize("name", ["exact_example", "exact_divide_conquer", "conditional_spread", "worst_case_variance"])
 def test_exact_values_follow_the_table(spark, tmp_path, name):
     rows = [(10 * c + p, c, f"{p}-X") for c in range(1, 8) for p in range(1, 6)]
     spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_orderpriority string").write.parquet(f"{tmp_path}/orders.parquet")
