@@ -30,6 +30,39 @@ def test_repost_keeps_lines_of_any_frequency(spark, tmp_path):
     assert got == {(a, b): 1 + (a % 3 == 0 and b % 3 == 0) for a, b in itertools.combinations(range(150), 2)}
 
 
+def test_repost_edges_in_blocks(spark, tmp_path, monkeypatch):
+    """Ids, degrees and closures without a table of edges; pairs counted in small pieces, in one way and the other."""
+    rng = np.random.default_rng(5)
+    texts = {int(i): "\n".join(f"a line of number {n} that is shared" for n in rng.integers(0, 40, rng.integers(0, 5))) for i in rng.choice(10**6, 120, False) - 500_000}
+    spark.createDataFrame([*texts.items(), (None, "a line of number 1 that is shared"), (7, None)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    lines_of = {i: {x for x in t.split("\n") if x} for i, t in texts.items()}
+    want = [(a, b, len(lines_of[a] & lines_of[b])) for a, b in itertools.product(sorted(texts), repeat=2) if a < b and lines_of[a] & lines_of[b]]
+    lines = G.holders(spark, str(tmp_path))
+    for size in (1 << 21, 50):
+        monkeypatch.setattr(G, "PAIRS", size)
+        got = sorted((r.edge_id, r.src, r.dst, r.w) for r in G.prepare_repost(spark, str(tmp_path)).collect())
+        assert got == [(i, *e) for i, e in enumerate(want)]
+    some = {a for a, *_ in want[::9]}
+    degrees = G.out_degrees(lines)
+    part = G.repost_edges(lines, degrees.filter(degrees.src.isin(list(some))))
+    assert {tuple(r) for r in part.select("edge_id", "src", "dst", "w").collect()} == {x for x in got if x[1] in some}
+
+    def reach(start, ends):
+        after = [(e[ends], e[1 - ends]) for e in want]
+        seen, size = {start}, 0
+        while len(seen) > size:
+            size = len(seen)
+            seen |= {b for a, b in after if a in seen}
+        return seen
+
+    start = want[len(want) // 3][0]
+    down = reach(start, 0)
+    assert {r.node for r in G.joined_by_lines(lines, spark.createDataFrame([(start,)], "node long")).collect()} == down
+    before = G.joined_by_lines(lines, spark.createDataFrame([(max(down),)], "node long"), forward=False)
+    assert {r.node for r in before.collect()} == reach(max(down), 1)
+    assert {r.node for r in G.joined_by_lines(lines, spark.createDataFrame([(start,)], "node long"), within=before).collect()} == down & reach(max(down), 1)
+
+
 def test_region_worlds_of_all_edges(spark):
     e = catalog.region_edges(spark, SF)
     rows, seed = e.orderBy("edge_id").collect(), catalog.region_seed(e)
