@@ -96,6 +96,22 @@ def test_exact_values_follow_the_table(spark, tmp_path, name):
         assert {(r.n, r.measured, r.formula) for r in got} == {(5, 2940.3, 3062.8125)}
 
 
+def test_graph_is_collected_in_columns(spark, monkeypatch):
+    from spreadlab.plans import estimators
+
+    def refused(*_):
+        raise AssertionError("rows become objects on the driver")
+
+    e = spark.createDataFrame([(0, 30, 10, 0.5), (1, 10, 20, 0.25), (2, 10, 5, 1.0)], "edge_id long, src long, dst long, p double")
+    for kind in {type(e), *type(e).__mro__[:-1]}:
+        for name in ("toPandas", "collect"):
+            if name in vars(kind):
+                monkeypatch.setattr(kind, name, refused)
+    g = estimators.collect_graph(e)
+    assert g.nodes.tolist() == [5, 10, 20, 30] and g.start.tolist() == [0, 0, 2, 2, 3]
+    assert (g.edge_id.tolist(), g.src.tolist(), g.dst.tolist(), g.p.tolist()) == ([2, 1, 0], [1, 1, 3], [0, 2, 1], [1.0, 0.25, 0.5])
+
+
 def test_cascade_runs_to_its_end(spark, monkeypatch):
     chain = spark.createDataFrame([(i, i, i + 1, 1, 1.0) for i in range(9)], "edge_id long, src long, dst long, w long, p double")
     monkeypatch.setattr(catalog, "message_edges", lambda *_: chain)
