@@ -47,6 +47,9 @@ MARKS = ".,;:!?|#$%&*()+/=-"
 _MARKS = f"[{MARKS}]+"
 PLAIN_SEGMENT = re.compile(f" ?[{_LETTERS}]+(?:{_MARKS}|\n(?=[{_LETTERS}])|[{_LETTERS}]+)+").fullmatch
 PLAIN_TOKENS = re.compile(f" ?[{_LETTERS}]+|{_MARKS}|\n").findall
+# Words of known letters before a space, a newline, a mark or the end; marks before a space, a newline, a known letter or the
+# end; newlines before a known letter: each is one pre-token wherever it stands. Else the rest up to a space is one piece.
+PIECES = re.compile(f" ?[{_LETTERS}]+(?=[ \n{re.escape(MARKS)}]|\\Z)|{_MARKS}(?=[ \n{_LETTERS}]|\\Z)|\n(?=[{_LETTERS}])| ?[^ ]+").findall
 OTHER_SPACES = [chr(c) for c in range(0x3001) if chr(c).isspace() and c != 0x20]
 
 MANIFEST = T.StructType([T.StructField("part", T.IntegerType()), T.StructField("path", T.StringType()), T.StructField("docs", T.LongType()), T.StructField("ids", T.LongType())])
@@ -111,18 +114,17 @@ class SegmentEncoder(dict):
     def encode(self, text: str) -> bytes:
         if self.special is not None and self.special(text):
             return packed_ids(self.tokenizer.encode(text, add_special_tokens=False).ids)
-        pieces = text.split(" ")
         if not has_odd_space(text):
-            segments = [pieces[0], *[" " + p for p in pieces[1:]]]
-        else:
-            segments, held = [], pieces[0]
-            for before, p in zip(pieces, pieces[1:], strict=False):
-                if before and p and not before[-1].isspace() and not p[0].isspace():
-                    segments.append(held)
-                    held = " " + p
-                else:
-                    held += " " + p
-            segments.append(held)
+            return b"".join(map(self.__getitem__, PIECES(text)))
+        pieces = text.split(" ")
+        segments, held = [], pieces[0]
+        for before, p in zip(pieces, pieces[1:], strict=False):
+            if before and p and not before[-1].isspace() and not p[0].isspace():
+                segments.append(held)
+                held = " " + p
+            else:
+                held += " " + p
+        segments.append(held)
         return b"".join(map(self.__getitem__, segments))
 
 
