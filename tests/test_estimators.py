@@ -4,11 +4,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from spreadlab.functions.coins import coin, md5_coin
+from spreadlab.functions.coins import coin, coin_below, md5_coin
 from spreadlab.operators import exact, local, metrics
 from spreadlab.operators.order import bfs_edges, random_edges
 from spreadlab.operators.reach import closure, frontier, packed, spread_of
 from spreadlab.operators.tree import root_draws
+from spreadlab.plans import estimators, workloads
 from spreadlab.plans.estimators import ESTIMATORS, SampleSpec, estimate, estimate_sets
 from spreadlab.sources import graphs as G
 
@@ -207,3 +208,24 @@ def test_dense_ids_and_successors(spark):
     assert all(nxt[k] == v[k + 1] for k in range(499)) and nxt[499] is None
     e = G.with_edge_ids(rows.select(F.col("k").alias("src"), F.col("v").alias("dst"))).orderBy("src", "dst").collect()
     assert [r.edge_id for r in e] == list(range(500))
+
+
+def test_needed_part_gives_what_the_whole_graph_gives(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    ends = sorted({(int(a) + c, int(b) + c) for a, b in rng.integers(0, 60, (240, 2)) for c in (0, 1000, 2000) if a != b})
+    rows = [(i, a, b, float(p)) for i, ((a, b), p) in enumerate(zip(ends, rng.random(len(ends)) * 0.4, strict=True))]
+    e, s = spark.createDataFrame(rows, "edge_id long, src long, dst long, p double"), spark.createDataFrame([(ends[0][0],), (77777,)], "seed long")
+    spec, methods, sent = SampleSpec(n=30, reps=1, coin="md5"), ["naive", "stair_recursive_random", "cube_basic_bfs"], []
+    want = sorted(tuple(r) for r in workloads.estimates_of(e, s, methods, spec).collect())
+    monkeypatch.setattr(workloads, "WHOLE_EDGES", 100)
+    monkeypatch.setattr(workloads, "FIRST_EDGES", 30)  # less than a tree takes: taken again, longer
+    monkeypatch.setattr(estimators, "GRAPH_BYTES", 40 * (len(rows) - 1))  # the whole graph does not fit
+    collect = workloads.collect_needed
+    monkeypatch.setattr(workloads, "collect_needed", lambda *a: sent.append(collect(*a)) or sent[-1])
+    assert sorted(tuple(r) for r in workloads.estimates_of(e, s, methods, spec).collect()) == want and len(want) == 6
+    assert [len(g.orders[0]) for g in sent] == [30, 240] and all(len(g.edge_id) < len(rows) for g in sent)
+
+
+def test_coin_below_is_the_comparison(spark):
+    rows = spark.range(300).select(coin(7, "order", F.col("id")).alias("u"), coin_below(0.3, 7, "order", F.col("id")).alias("low"), coin_below(1e-4, 7, "order", F.col("id")).alias("least")).collect()
+    assert all(r.low == (r.u < 0.3) and r.least == (r.u < 1e-4) for r in rows) and 0 < sum(r.low for r in rows) < 300
