@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import re
 import struct
+from codecs import charmap_decode
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -42,6 +43,7 @@ _PRINTED = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
 BYTE_LETTERS = {b: 0x100 + i for i, b in enumerate(b for b in range(256) if b not in _PRINTED)}
 _LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f"
 SPACE_LETTER = chr(BYTE_LETTERS[0x20])
+SPELLING = "".join(chr(BYTE_LETTERS.get(b, b)) for b in range(256))
 KNOWN_LETTERS = re.compile(f" ?[{_LETTERS}]+").fullmatch
 MARKS = ".,;:!?|#$%&*()+/=-"
 _MARKS = f"[{MARKS}]+"
@@ -49,7 +51,7 @@ PLAIN_SEGMENT = re.compile(f" ?[{_LETTERS}]+(?:{_MARKS}|\n(?=[{_LETTERS}])|[{_LE
 PLAIN_TOKENS = re.compile(f" ?[{_LETTERS}]+|{_MARKS}|\n").findall
 # Words of known letters before a space, a newline, a mark or the end; marks before a space, a newline, a known letter or the
 # end; newlines before a known letter: each is one pre-token wherever it stands. Else the rest up to a space is one piece.
-PIECES = re.compile(f" ?[{_LETTERS}]+(?=[ \n{re.escape(MARKS)}]|\\Z)|{_MARKS}(?=[ \n{_LETTERS}]|\\Z)|\n(?=[{_LETTERS}])| ?[^ ]+").findall
+PIECES = re.compile(f" ?[{_LETTERS}]++(?=[ \n{re.escape(MARKS)}]|\\Z)|{_MARKS}+(?=[ \n{_LETTERS}]|\\Z)|\n(?=[{_LETTERS}])| ?[^ ]++").findall
 OTHER_SPACES = [chr(c) for c in range(0x3001) if chr(c).isspace() and c != 0x20]
 
 MANIFEST = T.StructType([T.StructField("part", T.IntegerType()), T.StructField("path", T.StringType()), T.StructField("docs", T.LongType()), T.StructField("ids", T.LongType())])
@@ -62,9 +64,12 @@ def has_odd_space(text: str) -> bool:
     return any(c in text and (f" {c}" in text or f"{c} " in text) for c in OTHER_SPACES)
 
 
+_PACKERS = [struct.Struct(f"<{n}I").pack for n in range(33)]
+
+
 def packed_ids(ids: list[int]) -> bytes:
     """Little-endian unsigned 32-bit integers."""
-    return struct.pack(f"<{len(ids)}I", *ids)
+    return _PACKERS[len(ids)](*ids) if len(ids) < len(_PACKERS) else struct.pack(f"<{len(ids)}I", *ids)
 
 
 class SegmentEncoder(dict):
@@ -84,6 +89,7 @@ class SegmentEncoder(dict):
 
         self.tokenizer = Tokenizer.from_file(path)
         self.model = self.tokenizer.model
+        self.tokenize = self.model.tokenize
         self.old: dict[str, bytes] = {}
         self.held = 0
         specials = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
@@ -92,12 +98,12 @@ class SegmentEncoder(dict):
     def __missing__(self, segment: str) -> bytes:
         if (known := self.old.get(segment)) is not None:
             return self.keep(segment, known)
+        if KNOWN_LETTERS(segment):  # one pre-token: the model alone encodes it
+            spelt = segment.replace(" ", SPACE_LETTER) if segment.isascii() else charmap_decode(segment.encode(), "strict", SPELLING)[0]
+            return self.keep(segment, packed_ids([t.id for t in self.tokenize(spelt)]))
         head = segment.rstrip(MARKS)
         if len(head) < len(segment) and KNOWN_LETTERS(head):  # the commonest plain segment: a word and its marks
             return self[head] + self[segment[len(head) :]]
-        if KNOWN_LETTERS(segment):  # one pre-token: the model alone encodes it
-            spelt = segment.replace(" ", SPACE_LETTER) if segment.isascii() else segment.encode().decode("latin-1").translate(BYTE_LETTERS)
-            return self.keep(segment, packed_ids([t.id for t in self.model.tokenize(spelt)]))
         if PLAIN_SEGMENT(segment):
             return b"".join([self[t] for t in PLAIN_TOKENS(segment)])
         return self.keep(segment, packed_ids(self.tokenizer.encode(segment, add_special_tokens=False).ids))
