@@ -3,6 +3,7 @@
 import hashlib
 import itertools
 from collections import Counter
+from datetime import datetime, timedelta
 
 import numpy as np
 
@@ -56,6 +57,31 @@ def test_coorder_is_counted_without_a_join(spark, tmp_path, monkeypatch):
         assert got == [(i, *k, want[k]) for i, k in enumerate(sorted(k for k in want if want[k] >= least))]
 
 
+def test_supplier_week_is_counted_without_a_join(spark, tmp_path, monkeypatch):
+    rng = np.random.default_rng(5)
+    day = datetime(1969, 12, 20)
+    orders = [(int(k), int(c), int(d)) for k, c, d in zip(rng.integers(0, 90, 100), rng.integers(-12, 12, 100), rng.integers(0, 30, 100), strict=True)]  # some keys repeat
+    lines = [(int(k), int(s)) for k, s in zip(rng.integers(0, 100, 300), rng.integers(0, 5, 300), strict=True)]
+    table = [(k, c, day + timedelta(days=d, hours=5)) for k, c, d in orders]
+    spark.createDataFrame([*table, (None, 1, day), (3, None, day), (4, 2, None)], "o_orderkey long, o_custkey long, o_orderdate timestamp").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame([*lines, (None, 1), (5, None)], "l_orderkey long, l_suppkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    monkeypatch.setattr(G, "TASK_ROWS", 40)
+    monkeypatch.setattr(G, "PAIRS", 30)
+    sold = {(s, c, d) for k, s in lines for o, c, d in orders if o == k}
+    for days in (7, 3):
+        want = Counter((a, b) for (s, a, x), (t, b, y) in itertools.product(sold, repeat=2) if s == t and 1 <= y - x <= days and a != b)
+        made = G.supplier_week(spark, str(tmp_path), days)
+        assert "Join" not in plan_of(made)
+        assert sorted((r.edge_id, r.src, r.dst, r.w) for r in G.with_edge_ids(made).collect()) == [(i, *k, want[k]) for i, k in enumerate(sorted(want))]
+
+
+def test_empty_tables_make_empty_graphs(spark, tmp_path):
+    spark.createDataFrame([], "l_orderkey long, l_partkey long, l_suppkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([], "o_orderkey long, o_custkey long, o_orderdate timestamp").write.parquet(f"{tmp_path}/orders.parquet")
+    for made in (G.coorder(spark, str(tmp_path)), G.supplier_week(spark, str(tmp_path))):
+        assert G.with_edge_ids(made).collect() == []
+
+
 def test_first_random_edges_are_those_of_the_whole_order(spark):
     edges = spark.range(4000).selectExpr("id AS edge_id", "id AS src", "id + 1 AS dst", "0.5D AS p")
     key = lambda r: (r.rep, r.ord, r.edge_id)
