@@ -9,6 +9,8 @@ import numpy as np
 
 from spreadlab.functions import coins
 from spreadlab.operators.order import random_edges
+from spreadlab.plans import estimators
+from spreadlab.plans.estimators import SampleSpec
 from spreadlab.sources import graphs as G
 
 
@@ -87,3 +89,30 @@ def test_first_random_edges_are_those_of_the_whole_order(spark):
     key = lambda r: (r.rep, r.ord, r.edge_id)
     whole = sorted(key(r) for r in random_edges(edges, 3, 7).filter("ord < 200").collect())
     assert sorted(key(r) for r in random_edges(edges, 3, 7, limit=200).collect()) == whole
+
+
+def test_many_seeds_share_worlds(spark, monkeypatch):
+    """The same rows as from runs of single seeds, with each coin thrown once; packed pieces may overlap."""
+    rng = np.random.default_rng(6)
+    ends = sorted({(int(min(x)), int(max(x))) for x in rng.integers(-90, 90, (700, 2)) * 3 if x[0] != x[1]})
+    ids = rng.permutation(len(ends)).tolist()
+    edges = spark.createDataFrame([(i, a, b, (i % 5) / 4) for i, (a, b) in zip(ids, ends, strict=True)], "edge_id long, src long, dst long, p double").repartition(3)
+    seeds = spark.createDataFrame([(int(s),) for s in range(-280, 280, 2)], "seed long")
+    spec = lambda engine: SampleSpec(n=7, reps=2, coin="md5", engine=engine)
+    key = lambda df: sorted(tuple(round(v, 9) if isinstance(v, float) else v for v in r) for r in df.collect())
+    want = key(estimators.estimate(edges, seeds, "naive", spec=spec("local")))
+    calls, own = [], estimators.spread_of_all
+    monkeypatch.setattr(estimators, "spread_of_all", lambda *args: calls.append(1) or own(*args))
+    assert key(estimators.estimate(edges, seeds, "naive", spec=spec("worlds"))) == want
+    assert key(estimators.estimate(edges, seeds, "naive", spec=spec("auto"))) == want
+    assert len(calls) == 2
+    back = edges.unionByName(edges.limit(1).selectExpr("edge_id + 10000 AS edge_id", "dst AS src", "src AS dst", "p"))
+    assert key(estimators.estimate(back, seeds, "naive", spec=spec("auto"))) == key(estimators.estimate(back, seeds, "naive", spec=spec("local")))
+    assert len(calls) == 2
+
+
+def test_a_world_without_live_edges(spark):
+    edges = spark.range(100).selectExpr("id AS edge_id", "id AS src", "id + 1 AS dst", "0D AS p")
+    out = estimators.estimate(edges, edges.selectExpr("src AS seed"), "naive", spec=SampleSpec(n=3, coin="md5", engine="worlds"))
+    assert {tuple(r) for r in out.select("f_hat", "draws", "coins").collect()} == {(0.0, 3, 3)}
+    assert out.count() == 100
